@@ -8,6 +8,8 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..ship import ship
+
 #: Rows up to which a table of keys counts as small; larger ones are joined by a shuffle.
 SMALL_ROWS = 20_000
 
@@ -17,6 +19,7 @@ WORD_CLASS = "[^\\x20\\x09-\\x0D]+"
 
 def pick(df: DataFrame, *names: str) -> DataFrame:
     """The named columns only, by exact name, whatever else the table holds (``TEXT`` beside ``text`` included)."""
+    ship(df.sparkSession)
     columns = df.columns
     missing = [n for n in names if n not in columns]
     if missing:

@@ -4,10 +4,21 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from . import langid, simhash, topk
+from . import langid, mixing, packing, simhash, topk
 from .common import documents
 
 
+def op1_mixing(spark, sf_dir):
+    mixed = mixing.mix_sizes(documents(spark, sf_dir))
+    return mixed.select("doc_id", "size", "source_size", "target", (F.col("copies") * F.col("size")).alias("taken"), "copies")
+
+
+def op3_packing(spark, sf_dir):
+    import public_tokenizers
+
+    return packing.pack(documents(spark, sf_dir), public_tokenizers.path("word_bpe_49k.json"), capacity=4096, end_id=1)
+
+
 def op2_simhash(spark, sf_dir):
     found = simhash.near_components(documents(spark, sf_dir), words=4, radius=4)
     return found.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
@@ -29,5 +40,5 @@ def op10_langid(spark, sf_dir):
     return langid.predict(docs, model).select("doc_id", held_out().alias("held_out"), "lang_pred", "score", "rejected")
 
 
-QUERIES = {f.__name__: f for f in (op2_simhash, op9_topk, op10_langid)}
+QUERIES = {f.__name__: f for f in (op1_mixing, op2_simhash, op3_packing, op9_topk, op10_langid)}
 ORACLES: dict[str, str] = {}
