@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from . import langid, mixing, packing, simhash, topk
+from . import langid, licenses, mixing, packing, pii, quality, simhash, topk
 from .common import documents
 
 
@@ -24,6 +24,18 @@ def op2_simhash(spark, sf_dir):
     return found.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
+def op4_licenses(spark, sf_dir):
+    return licenses.scan(documents(spark, sf_dir)).drop("text_key")
+
+
+def op5_pii(spark, sf_dir):
+    return pii.scan(documents(spark, sf_dir))
+
+
+def op6_quality(spark, sf_dir):
+    return quality.judged(documents(spark, sf_dir)).drop("text_key")
+
+
 def op9_topk(spark, sf_dir):
     vectors = spark.read.parquet(f"{sf_dir}/embeddings.parquet")
     return topk.top_k(vectors.where("vec_id % 100 = 0"), vectors, k=10, scale=1024)
@@ -40,5 +52,5 @@ def op10_langid(spark, sf_dir):
     return langid.predict(docs, model).select("doc_id", held_out().alias("held_out"), "lang_pred", "score", "rejected")
 
 
-QUERIES = {f.__name__: f for f in (op1_mixing, op2_simhash, op3_packing, op9_topk, op10_langid)}
+QUERIES = {f.__name__: f for f in (op1_mixing, op2_simhash, op3_packing, op4_licenses, op5_pii, op6_quality, op9_topk, op10_langid)}
 ORACLES: dict[str, str] = {}
