@@ -58,18 +58,16 @@ def later_copies(docs: DataFrame, least_chars: int = 40) -> DataFrame:
         run = durable(pairs.join(names, [f"r{level}", "ahead"], "left").drop("ahead"))
         depth, level = depth * 2, level + 1
     # a run of m lines is named by the ranks of the two longest powers of two that cover it
+    names = F.array(*[F.col(f"r{k}") for k in range(level + 1)])
+    run = durable(run.select(*_KEY, "line", "m", names.alias("names")))
     power = F.floor(F.log2(F.col("m").cast("double")) + 1e-9).cast("int")
-    run = run.withColumn("k", power)
-    head = F.coalesce(*[F.when(F.col("k") == k, F.col(f"r{k}")) for k in range(level + 1)])
-    tails = []
-    for k in range(level + 1):
-        for m in range(1 << k, min(longest, (2 << k) - 1) + 1):
-            tails.append(F.when(F.col("m") == m, F.lead(f"r{k}", m - (1 << k)).over(inside)))
-    if not tails:
-        tails = [F.lit(None).cast("long")]
-    named = run.withColumn("head", head).withColumn("tail", F.coalesce(*tails)).where("head is not null and tail is not null")
-    named = durable(named.select(*_KEY, "line", "m", "head", "tail"))
-    earliest = named.groupBy("m", "head", "tail").agg(F.min(F.struct("doc", "text_key", "line")).alias("low"), F.count("*").alias("n")).where("n > 1")
+    begins = run.where("m is not null").withColumn("k", power).withColumn("at", (F.col("line") + F.col("m") - F.shiftleft(F.lit(1), F.col("k"))).cast("int"))
+    head = begins.select(*_KEY, "line", "m", "at", "k", F.get("names", F.col("k")).alias("head")).where("head is not null")
+    second = head.where("at <> line").join(run.select(*_KEY, F.col("line").alias("at"), "names"), [*_KEY, "at"])
+    columns = [*_KEY, "line", "m", "head"]
+    named = head.where("at = line").select(*columns, F.col("head").alias("tail")).unionByName(second.select(*columns, F.get("names", F.col("k")).alias("tail")).where("tail is not null"))
+    named = durable(named)
+    earliest = durable(named.groupBy("m", "head", "tail").agg(F.min(F.struct("doc", "text_key", "line")).alias("low"), F.count("*").alias("n")).where("n > 1"))
     own = F.struct("doc", "text_key", "line")
     later = named.join(earliest, ["m", "head", "tail"]).where(own > F.col("low"))
     gone = later.select(*_KEY, F.explode(F.sequence(F.col("line"), (F.col("line") + F.col("m") - 1).cast("int"))).alias("line"))
