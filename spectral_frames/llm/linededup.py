@@ -61,7 +61,7 @@ def later_copies(docs: DataFrame, least_chars: int = 40) -> DataFrame:
     names = F.array(*[F.col(f"r{k}") for k in range(level + 1)])
     run = durable(run.select(*_KEY, "line", "m", names.alias("names")))
     power = F.floor(F.log2(F.col("m").cast("double")) + 1e-9).cast("int")
-    begins = run.where("m is not null").withColumn("k", power).withColumn("at", (F.col("line") + F.col("m") - F.shiftleft(F.lit(1), F.col("k"))).cast("int"))
+    begins = run.where("m is not null").withColumn("k", power).withColumn("at", (F.col("line") + F.col("m") - F.pow(F.lit(2.0), F.col("k")).cast("int")).cast("int"))
     head = begins.select(*_KEY, "line", "m", "at", "k", F.get("names", F.col("k")).alias("head")).where("head is not null")
     second = head.where("at <> line").join(run.select(*_KEY, F.col("line").alias("at"), "names"), [*_KEY, "at"])
     columns = [*_KEY, "line", "m", "head"]
