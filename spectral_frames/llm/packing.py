@@ -23,33 +23,60 @@ from pyspark.sql import functions as F
 
 from .common import durable, pick
 
-#: Encodings of words that a worker keeps between batches.
-CACHED_WORDS = 300_000
+#: Encodings that a worker keeps between batches: of words, and of their letters alone.
+CACHED_WORDS = 600_000
+#: A special token that parts words within one call of the tokenizer.
+_MARK = "<|endoftext|>"
 _cache: dict = {}
 
 
+def _letters(word: str) -> tuple[str, str]:
+    """A word's letters in lower case, as the vocabulary sees them, and the comma or full stop after them."""
+    core, tail = (word[:-1], word[-1]) if word[-1] in ",." and word[:-1].isalpha() else (word, "")
+    return (core if "İ" in core or "Σ" in core else core.lower()), tail
+
+
+def _encode_words(tokenizer, words: list[str]) -> list[bytes]:
+    """Ids of each word, many words in one call."""
+    mark = tokenizer.token_to_id(_MARK)
+    out: list[bytes] = []
+    for k in range(0, len(words), 1000):
+        some = words[k : k + 1000]
+        if mark is None or any("<|" in w for w in some):
+            out += [np.array(tokenizer.encode(w, add_special_tokens=False).ids, "<u4").tobytes() for w in some]
+            continue
+        ids = np.array(tokenizer.encode(_MARK.join(some), add_special_tokens=False).ids, "<u4")
+        ends = [*(4 * np.flatnonzero(ids == mark)).tolist(), 4 * len(ids)]
+        data, begin = ids.tobytes(), 0
+        for end in ends:
+            out.append(data[begin:end])
+            begin = end + 4
+    return out
+
+
 def encoded(texts: list[str | None], path: str) -> list[bytes]:
     """Ids of each text, as little-endian unsigned 32-bit numbers.
 
-    The vocabulary drops white space and never joins across it, so a text's ids are those of its words, one after the
-    other; words met before are looked up.
+    The vocabulary drops white space and never joins across it, nor letters with what follows them, so a text's ids are those of
+    its words, one after the other; words met before are looked up.
     """
     os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
     from tokenizers import Tokenizer
 
     if path not in _cache:
-        _cache[path] = (Tokenizer.from_file(path), {"": b""})
-    tokenizer, known = _cache[path]
+        tokenizer = Tokenizer.from_file(path)
+        _cache[path] = (tokenizer, {}, {})
+    tokenizer, known, cores = _cache[path]
     split = [t.replace("\n", " ").replace("\t", " ").replace("\r", " ").split(" ") if t else [] for t in texts]
-    fresh = list(set().union(*split).difference(known))
-    if len(known) + len(fresh) > CACHED_WORDS:
+    if len(known) > CACHED_WORDS:
         known.clear()
-        known[""] = b""
-        fresh = list(set().union(*split).difference(known))
-    encode = getattr(tokenizer, "encode_batch_fast", tokenizer.encode_batch)
-    for k in range(0, len(fresh), 10_000):
-        some = fresh[k : k + 10_000]
-        known.update((w, np.array(e.ids, "<u4").tobytes()) for w, e in zip(some, encode(some, add_special_tokens=False), strict=True))
+    if len(cores) > CACHED_WORDS:
+        cores.clear()
+    known[""] = b""
+    fresh = {w: _letters(w) for words in split for w in words if w not in known}
+    new = list({x for core, tail in fresh.values() for x in (core, tail) if x and x not in cores})
+    cores.update(zip(new, _encode_words(tokenizer, new), strict=True))
+    known.update((w, cores[core] + cores[tail] if tail else cores[core]) for w, (core, tail) in fresh.items())
     return [b"".join(map(known.__getitem__, words)) for words in split]
 
 
