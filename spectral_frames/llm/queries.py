@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from . import langid, licenses, linededup, mixing, packing, pii, quality, simhash, topk
+from . import langid, licenses, linededup, mixing, packing, pii, quality, simhash, suffixdedup, topk
 from .common import documents
 
 
@@ -40,6 +40,10 @@ def op7_linededup(spark, sf_dir):
     return linededup.removed(documents(spark, sf_dir))
 
 
+def op8_suffixdedup(spark, sf_dir):
+    return suffixdedup.removed(documents(spark, sf_dir), length=50)
+
+
 def op9_topk(spark, sf_dir):
     vectors = spark.read.parquet(f"{sf_dir}/embeddings.parquet")
     return topk.top_k(vectors.where("vec_id % 100 = 0"), vectors, k=10, scale=1024)
@@ -56,5 +60,5 @@ def op10_langid(spark, sf_dir):
     return langid.predict(docs, model).select("doc_id", held_out().alias("held_out"), "lang_pred", "score", "rejected")
 
 
-QUERIES = {f.__name__: f for f in (op1_mixing, op2_simhash, op3_packing, op4_licenses, op5_pii, op6_quality, op7_linededup, op9_topk, op10_langid)}
+QUERIES = {f.__name__: f for f in (op1_mixing, op2_simhash, op3_packing, op4_licenses, op5_pii, op6_quality, op7_linededup, op8_suffixdedup, op9_topk, op10_langid)}
 ORACLES: dict[str, str] = {}
