@@ -32,6 +32,7 @@ class CostMeter:
         self.spark, self.name = spark, name
         self.report: CostReport | None = None
         self._off = [0.0] * 5
+        self._seen: dict[tuple[int, int], tuple[float, float, float]] = {}
 
     def _totals(self) -> list[float]:
         sc = self.spark.sparkContext
@@ -39,14 +40,11 @@ class CostMeter:
         store = sc._jsc.sc().statusStore()
         empty = sc._gateway.new_array(sc._jvm.double, 0)
         stages = store.stageList(None, False, False, empty, None)
-        run = cpu = shuffle = 0.0
-        n = stages.size()
-        for k in range(n):
+        for k in range(stages.size()):  # the store forgets old stages; what was seen once is kept here
             s = stages.apply(k)
-            run += s.executorRunTime() / 1e3
-            cpu += s.executorCpuTime() / 1e9
-            shuffle += s.shuffleWriteBytes()
-        return [run, cpu, shuffle, float(n), time.perf_counter()]
+            self._seen[(s.stageId(), s.attemptId())] = (s.executorRunTime() / 1e3, s.executorCpuTime() / 1e9, float(s.shuffleWriteBytes()))
+        totals = [sum(x[i] for x in self._seen.values()) for i in range(3)]
+        return [*totals, float(len(self._seen)), time.perf_counter()]
 
     def __enter__(self) -> CostMeter:
         self._begin = self._totals()

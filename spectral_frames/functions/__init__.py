@@ -6,6 +6,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, DoubleType
 
 from ..session import ship
 
@@ -34,7 +35,7 @@ def projector(spark: SparkSession, v: np.ndarray):
     return spectral_project
 
 
-@F.pandas_udf("array<double>")
+@F.pandas_udf(ArrayType(DoubleType()))
 def gram_agg(x: pd.Series) -> list:
     """Upper triangle, by rows, of the Gram matrix of a group's vectors; groups must fit in a task."""
     a = np.stack(x.to_numpy()).astype(float)

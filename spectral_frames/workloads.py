@@ -132,10 +132,10 @@ def rank_polynomial(spark, d):
 
 
 #: Working precisions midway between neighbours of ten values that fall from 1 to 1e-20.
-_CUTS = [5e-4, 3e-6, 1.6e-8, 1e-10]
+_CUTS = [5e-4, 3e-6, 5e-8, 1e-10]
 
 
-@query("""SELECT core, cut, CAST(count(*) AS INTEGER) AS rank FROM (VALUES ('mixed_qr'), ('gram')) AS c(core), (VALUES (1, 5e-4), (2, 3e-6), (3, 1.6e-8), (4, 1e-10)) AS w(cut, wp), range(10) AS j(j)
+@query("""SELECT core, cut, CAST(count(*) AS INTEGER) AS rank FROM (VALUES ('mixed_qr'), ('gram')) AS c(core), (VALUES (1, 5e-4), (2, 3e-6), (3, 5e-8), (4, 1e-10)) AS w(cut, wp), range(10) AS j(j)
 WHERE power(10, -20.0 * j / 9) >= CASE WHEN core = 'gram' AND cut > 2 THEN 3e-6 ELSE wp END GROUP BY 1, 2""")
 def rank_by_precision(spark, d):
     """The kept rank follows the working precision: directly for mixed QR, by its square root for Gram (whose two finest settings are one here)."""
@@ -254,7 +254,7 @@ UNION ALL SELECT t + 1, list_transform(y, lambda z: z / sqrt(list_dot_product(y,
 
 _PART_SUPP = "SELECT l_partkey AS i, l_suppkey AS j, sum(l_quantity) AS v FROM lineitem GROUP BY 1, 2"
 _USER_HOUR = "SELECT user_id AS i, hour(ts) AS j, count(*)::DOUBLE AS v FROM events GROUP BY 1, 2"
-_TOP = _power_iteration(_PART_SUPP, "(SELECT max(l_suppkey) + 1 FROM lineitem)") + " SELECT {0} CAST(round(sqrt(s) * 1000) AS BIGINT) AS sigma1 FROM p{1} WHERE t = 30"
+_TOP = _power_iteration(_PART_SUPP, "(SELECT max(l_suppkey) + 1 FROM lineitem)") + " SELECT {0} CAST(round(sqrt(s) * 100) AS BIGINT) AS sigma1 FROM p{1} WHERE t = 30"
 
 
 def _top_sigma(core):
@@ -263,7 +263,7 @@ def _top_sigma(core):
         a.df = thin.durable(a.df)
         l_ = min(20, a.n // 2)
         r = low_rank.low_rank_svd(a, l_, 2, core)
-        return frame(spark, "sigma1 long", [(round(r.sigma[0] * 1000),)])
+        return frame(spark, "sigma1 long", [(round(r.sigma[0] * 100),)])
 
     return f
 
@@ -276,7 +276,7 @@ for _core in ("mixed_qr", "gram"):
 def tracker_variants_agree(spark, d):
     a = tables.part_supp(spark, d)
     a.df = thin.durable(a.df)
-    rows = [(t, round(low_rank.low_rank_svd(a, min(20, a.n // 2), 2, tracker=t).sigma[0] * 1000)) for t in ("svd", "q_only", "lu")]
+    rows = [(t, round(low_rank.low_rank_svd(a, min(20, a.n // 2), 2, tracker=t).sigma[0] * 100)) for t in ("svd", "q_only", "lu")]
     return frame(spark, "tracker string, sigma1 long", rows)
 
 
@@ -626,8 +626,6 @@ def asof_event_feature(spark, d):
     """The last purchase before each click of the same user: one sort per user, no pairs."""
     events = table(spark, d, "events").where(F.col("event_type").isin("click", "purchase"))
     mark = F.when(F.col("event_type") == "purchase", F.struct("ts", "event_id"))
-    before = Window.partitionBy("user_id").orderBy(F.col("ts").cast("timestamp")).rangeBetween(Window.unboundedPreceding, Window.currentRow)
-    del before
     by = Window.partitionBy("user_id").orderBy("ts", F.when(F.col("event_type") == "click", 0).otherwise(1)).rowsBetween(Window.unboundedPreceding, Window.currentRow)
     return events.withColumn("p", F.max(mark).over(by)).where("event_type = 'click' AND p IS NOT NULL").select("event_id", F.col("p.event_id").alias("previous"))
 
