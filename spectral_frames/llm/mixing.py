@@ -33,12 +33,12 @@ def filled(strata: DataFrame, group: list[str], total: Column, cap: Column, weig
     """Adds ``fill``: each row gets min(cap, level * weight), the level of a group such that they sum to its total (or all caps)."""
     rows = strata.select("*", cap.cast("double").alias("_cap"), weight.cast("double").alias("_weight"), total.cast("double").alias("_total"))
     by = Window.partitionBy(*group)
-    steep = by.orderBy(F.col("_cap") / F.col("_weight"), *[c for c in strata.columns if c not in group])
+    steep = by.orderBy(F.try_divide(F.col("_cap"), F.col("_weight")), *[c for c in strata.columns if c not in group])
     done = F.coalesce(F.sum("_cap").over(steep.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0.0))
     left = F.sum("_weight").over(steep.rowsBetween(Window.currentRow, Window.unboundedFollowing))
-    rows = rows.withColumn("_level", (F.col("_total") - done) / left)
+    rows = rows.withColumn("_level", F.try_divide(F.col("_total") - done, left))
     # rows are ordered by the level at which they are full: the first that stays below its own sets the level
-    level = F.min(F.when(F.col("_level") <= F.col("_cap") / F.col("_weight"), F.struct(F.col("_cap") / F.col("_weight"), F.col("_level")))).over(by)
+    level = F.min(F.when(F.col("_level") <= F.try_divide(F.col("_cap"), F.col("_weight")), F.struct(F.try_divide(F.col("_cap"), F.col("_weight")), F.col("_level")))).over(by)
     fill = F.coalesce(F.least(F.col("_cap"), level.getField("_level") * F.col("_weight")), F.col("_cap"))
     return rows.withColumn("fill", F.greatest(F.lit(0.0), fill)).drop("_cap", "_weight", "_total", "_level")
 
