@@ -15,6 +15,7 @@ from __future__ import annotations
 
 import os
 import zlib
+from array import array
 
 import numpy as np
 import pyarrow as pa
@@ -24,38 +25,40 @@ from pyspark.sql import functions as F
 from .common import durable, pick
 
 #: Encodings that a worker keeps between batches: of words, and of their letters alone.
-CACHED_WORDS = 600_000
-#: A special token that parts words within one call of the tokenizer.
-_MARK = "<|endoftext|>"
+CACHED_WORDS = 900_000
 _cache: dict = {}
 
 
-def _letters(word: str) -> tuple[str, str]:
-    """A word's letters in lower case, as the vocabulary sees them, and the comma or full stop after them."""
-    core, tail = (word[:-1], word[-1]) if word[-1] in ",." and word[:-1].isalpha() else (word, "")
-    return (core if "İ" in core or "Σ" in core else core.lower()), tail
+class _Words(dict):
+    """Ids of words as bytes, made when first asked for.  Letters are encoded once in lower case, as the vocabulary sees them."""
 
+    def __init__(self, tokenizer):
+        self.tokenizer, self.model = tokenizer, tokenizer.model
+        self.cores: dict[str, bytes] = {}
 
-def _encode_words(tokenizer, words: list[str]) -> list[bytes]:
-    """Ids of each word, many words in one call."""
-    mark = tokenizer.token_to_id(_MARK)
-    out: list[bytes] = []
-    for k in range(0, len(words), 1000):
-        some = words[k : k + 1000]
-        if mark is None or any("<|" in w for w in some):
-            out += [np.array(tokenizer.encode(w, add_special_tokens=False).ids, "<u4").tobytes() for w in some]
-            continue
-        ids = np.array(tokenizer.encode(_MARK.join(some), add_special_tokens=False).ids, "<u4")
-        ends = [*(4 * np.flatnonzero(ids == mark)).tolist(), 4 * len(ids)]
-        data, begin = ids.tobytes(), 0
-        for end in ends:
-            out.append(data[begin:end])
-            begin = end + 4
-    return out
+    def __missing__(self, word: str) -> bytes:
+        core, tail = (word[:-1], word[-1]) if word[-1:] in (",", ".") and word[:-1].isalpha() else (word, "")
+        core = core if "İ" in core or "Σ" in core else core.lower()
+        ids = self.cores.get(core)
+        if ids is None:
+            self.cores[core] = ids = self.encode(core)
+        if tail:
+            ids += self.cores.get(tail) or self.tail(tail)
+        self[word] = ids
+        return ids
+
+    def tail(self, tail: str) -> bytes:
+        self.cores[tail] = ids = self.encode(tail)
+        return ids
+
+    def encode(self, core: str) -> bytes:
+        if core.isascii() and core.isalpha():  # one run of letters that needs no normalising: the merges alone
+            return array("I", [t.id for t in self.model.tokenize(core)]).tobytes()
+        return array("I", self.tokenizer.encode(core, add_special_tokens=False).ids).tobytes()
 
 
 def encoded(texts: list[str | None], path: str) -> list[bytes]:
-    """Ids of each text, as little-endian unsigned 32-bit numbers.
+    """Ids of each text, as unsigned 32-bit numbers in little-endian order.
 
     The vocabulary drops white space and never joins across it, nor letters with what follows them, so a text's ids are those of
     its words, one after the other; words met before are looked up.
@@ -64,20 +67,15 @@ def encoded(texts: list[str | None], path: str) -> list[bytes]:
     from tokenizers import Tokenizer
 
     if path not in _cache:
-        tokenizer = Tokenizer.from_file(path)
-        _cache[path] = (tokenizer, {}, {})
-    tokenizer, known, cores = _cache[path]
-    split = [t.replace("\n", " ").replace("\t", " ").replace("\r", " ").split(" ") if t else [] for t in texts]
+        _cache[path] = _Words(Tokenizer.from_file(path))
+    known = _cache[path]
     if len(known) > CACHED_WORDS:
         known.clear()
-    if len(cores) > CACHED_WORDS:
-        cores.clear()
+    if len(known.cores) > CACHED_WORDS:
+        known.cores.clear()
     known[""] = b""
-    fresh = {w: _letters(w) for words in split for w in words if w not in known}
-    new = list({x for core, tail in fresh.values() for x in (core, tail) if x and x not in cores})
-    cores.update(zip(new, _encode_words(tokenizer, new), strict=True))
-    known.update((w, cores[core] + cores[tail] if tail else cores[core]) for w, (core, tail) in fresh.items())
-    return [b"".join(map(known.__getitem__, words)) for words in split]
+    get = known.__getitem__
+    return [b"".join(map(get, t.replace("\n", " ").replace("\t", " ").replace("\r", " ").split(" "))) if t else b"" for t in texts]
 
 
 def pieces(docs: DataFrame, path: str, capacity: int = 4096, end_id: int = 1) -> DataFrame:
