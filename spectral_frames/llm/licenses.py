@@ -26,8 +26,8 @@ TEMPLATES = [
     ("apache-2.0", "licensed under the apache license version 2 0", "apache license"),
     ("apache-2.0", "apache software license version 2 0", "apache software license"),
     ("mit", "released under the mit license", "mit license"),
-    ("mit", "permission is hereby granted free of charge to any person obtaining a copy of this software", "permission is hereby granted"),
-    ("bsd", "redistribution and use in source and binary forms with or without modification are permitted", "source and binary forms"),
+    ("mit", "permission is hereby granted free of charge to any person obtaining a copy of this software", "hereby granted"),
+    ("bsd", "redistribution and use in source and binary forms with or without modification are permitted", "binary forms"),
     ("bsd", "licensed under the bsd license", "bsd license"),
     ("gpl", "this work is licensed under the gnu general public license version 3", "general public license"),
     ("lgpl", "gnu lesser general public license version 3", "lesser general public license"),
@@ -41,15 +41,23 @@ TEMPLATES = [
     ("cc-by-nd", "licensed under cc by nd 4 0", "cc by nd"),
     ("cc0", "dedicated to the public domain under cc0 1 0 universal", "cc0"),
     ("public-domain", "released into the public domain", "public domain"),
-    ("isc", "permission to use copy modify and or distribute this software for any purpose", "permission to use copy modify"),
+    ("isc", "permission to use copy modify and or distribute this software for any purpose", "copy modify"),
     ("reserved", "copyright all rights reserved", "all rights reserved"),
-    ("proprietary", "proprietary and confidential unauthorized copying is prohibited", "proprietary and confidential"),
+    ("proprietary", "proprietary and confidential unauthorized copying is prohibited", "confidential unauthorized"),
 ]
 
-#: Words of the notices that common prose is full of; they are indexed only where a mandatory phrase needs them.
+#: Words of the notices that common prose is full of; they are not indexed.
 COMMON = {"the", "of", "and", "to", "in", "is", "this", "or", "are", "for", "a", "any", "with", "under", "use", "0", "1", "2", "3", "4", "by", "all", "into", "at", "version", "work", "free"}
-REQUIRED = sorted({w for _, _, phrase in TEMPLATES for w in phrase.split()})
-INDEXED = sorted({w for _, notice, _ in TEMPLATES for w in notice.split() if w not in COMMON} | set(REQUIRED))
+INDEXED = sorted({w for _, notice, _ in TEMPLATES for w in notice.split() if w not in COMMON})
+
+
+def required(notice: str, phrase: str) -> list[tuple[str, int]]:
+    """What must stand where, counted from the start of the notice: the phrase's indexed words, and a base phrase where it begins with one."""
+    words, parts = notice.split(), phrase.split()
+    at = next(k for k in range(len(words)) if words[k : k + len(parts)] == parts)
+    base = [(f"#{p}", at) for p in BASE if phrase == p or phrase.startswith(p + " ")]
+    return base + [(w, at + k) for k, w in enumerate(parts) if w not in COMMON]
+
 
 _GAPS = "[\\x00-\\x2F\\x3A-\\x40\\x5B-\\x60\\x7B-\\x7F]+"
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
@@ -99,23 +107,29 @@ def matches(rows: DataFrame, rarest: int = 8, agree: float = 0.5) -> DataFrame:
     postings = [(t, label, w, pos) for t, (label, notice, _) in enumerate(TEMPLATES) for pos, w in enumerate(notice.split()) if w in INDEXED]
     template = _literal_rows(spark, postings, ["template", "label", "word", "tpos"]).join(F.broadcast(idf), "word")
     template = durable(template.withColumn("full", F.sum("idf").over(Window.partitionBy("template"))))  # as many rows as the notices have words
-    flat = rows.where(F.size("hits") > 0).select("doc_id", "text_key", F.explode("hits").alias("h")).select("doc_id", "text_key", "h.pos", "h.word").distinct()
-    flat = flat.join(F.broadcast(idf), "word")
-    # the rarest words of a row, all their places
+    key = ["doc_id", "text_key"]
+    flat = rows.where(F.size("hits") > 0).select(*key, F.inline("hits"))
+
+    def marked(column: str, word: str) -> Column:
+        return F.transform(column, lambda i: F.struct(i.alias("pos"), F.lit(word).alias("word")))
+
+    based = [marked(f"p{k}", f"#{p}") for k, p in enumerate(BASE)]
+    places = rows.where(F.size(F.concat(*[F.col(f"p{k}") for k in range(len(BASE))])) > 0).select(*key, F.inline(F.concat(*based)))
+    # the rarest words of a row (of the few that are indexed), and with them all their places
+    weighed = flat.join(F.broadcast(idf), "word")
     top = F.slice(F.array_sort(F.collect_set(F.struct((-F.col("idf")).alias("o"), "word"))), 1, rarest)
-    rare = flat.groupBy("doc_id", "text_key").agg(top.getField("word").alias("words"), F.collect_list(F.struct("pos", "word")).alias("hits"))
-    rare = rare.select("doc_id", "text_key", "words", "hits", F.explode("hits").alias("h")).where(F.array_contains("words", F.col("h.word")))
-    placed = rare.select("doc_id", "text_key", "hits", "h.pos", "h.word").join(F.broadcast(template), "word")
-    placed = placed.withColumn("begin", F.col("pos") - F.col("tpos"))
-    votes = placed.groupBy("doc_id", "text_key", "template", "label", "begin").agg((F.sum("idf") / F.first("full")).alias("score"), F.first("hits").alias("hits"))
-    votes = votes.where(F.col("score") >= agree)
-    checks = []
-    for t, (_, notice, phrase) in enumerate(TEMPLATES):
-        parts, all_ = phrase.split(), notice.split()
-        offset = next(k for k in range(len(all_)) if all_[k : k + len(parts)] == parts)
-        there = [F.array_contains("hits", F.struct((F.col("begin") + offset + k).cast("int").alias("pos"), F.lit(w).alias("word"))) for k, w in enumerate(parts)]
-        checks.append((F.col("template") == t) & reduce(lambda a, b: a & b, there))
-    found = votes.where(reduce(lambda a, b: a | b, checks))
+    rare = weighed.groupBy(*key).agg(top.getField("word").alias("words"), F.collect_set(F.struct("pos", "word")).alias("hits"))
+    rare = rare.select(*key, F.inline(F.filter("hits", lambda h: F.array_contains("words", h["word"]))))
+    placed = rare.join(F.broadcast(template), "word").withColumn("begin", F.col("pos") - F.col("tpos"))
+    votes = placed.groupBy(*key, "template", "label", "begin").agg((F.sum("idf") / F.first("full")).alias("score")).where(F.col("score") >= agree)
+    # every required word at its place
+    needs = [(t, w, at, len(required(notice, phrase))) for t, (_, notice, phrase) in enumerate(TEMPLATES) for w, at in required(notice, phrase)]
+    need = _literal_rows(spark, needs, ["template", "word", "at", "needed"])
+    wanted = votes.join(F.broadcast(need), "template").withColumn("pos", (F.col("begin") + F.col("at")).cast("int"))
+    there = flat.unionByName(places).distinct().withColumnsRenamed({"doc_id": "_id", "text_key": "_key", "pos": "_pos", "word": "_word"})
+    match = F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("text_key") == F.col("_key")) & (F.col("pos") == F.col("_pos")) & (F.col("word") == F.col("_word"))
+    met = wanted.join(there, match, "left_semi")
+    found = met.groupBy(*key, "template", "label", "begin", "needed").agg(F.max("score").alias("score"), F.count("*").alias("met")).where("met = needed")
     return found.groupBy("doc_id", "text_key", "label").agg(F.max("score").alias("score"), F.min("begin").alias("begin"))
 
 
