@@ -285,11 +285,11 @@ def repeated_spans(docs: DataFrame, length: int = 50, anchors_per_block: int = 1
                         gone[t.first[x["at"]] : t.stop[x["at"]]] = True
                 again_ = batch.column("again")[i].as_py()
                 if again_:
-                    full = window_hashes(t.b, length).view(np.int64)
+                    found = np.isin(window_hashes(t.b, length).view(np.int64), np.array(again_, np.int64))
                     for x in st:
                         if x["state"] == 1:
                             s = slice(t.first[x["at"]], t.stop[x["at"]])
-                            gone[s] |= np.isin(full[s], again_)
+                            gone[s] |= found[s]
                 cover = np.zeros(len(data) + 1, np.int64)
                 starts = np.flatnonzero(gone)
                 np.add.at(cover, starts, 1)
