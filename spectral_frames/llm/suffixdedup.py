@@ -241,11 +241,10 @@ def repeated_spans(docs: DataFrame, length: int = 50, anchors_per_block: int = 1
                 yield pa.RecordBatch.from_arrays([pa.array(np.full(n, batch.column("doc")[i].as_py())), pa.array(np.full(n, batch.column("text_key")[i].as_py())), pa.array(at), pa.array(name), pa.array(ctx)], ["doc", "text_key", "at", "name", "context"])
 
     flat = candidates.mapInArrow(anchors, "doc long, text_key long, at int, name long, context long")
-    by_context = durable(flat.groupBy("name", "context").agg(F.min("doc").alias("low"), F.max("doc").alias("high")))
+    by_context = flat.groupBy("name", "context").agg(F.min("doc").alias("low"), F.max("doc").alias("high"))
     by_name = by_context.groupBy("name").agg(F.min("low").alias("least"), F.max("high").alias("most"), F.count("*").alias("kinds"))
-    by_name = durable(by_name.where("least < most"))
-    settled = by_context.join(by_name.select("name", "least", "kinds"), "name").select("name", "context", "low", "least", "kinds")
-    settled = durable(settled)
+    by_name = by_name.where("least < most").select("name", "kinds")
+    settled = durable(by_context.join(by_name, "name").select("name", "context", "low", "kinds"))
     mine = flat.join(settled, ["name", "context"])
     # 2: all strings around the anchor are repeated; 1: to be ranked one by one, as what is repeated or as what it repeats
     state = F.when(F.col("low") < F.col("doc"), 2).when(F.col("kinds") > 1, 1)
