@@ -170,7 +170,8 @@ class TileFrame:
 
     def transpose(self) -> TileFrame:
         turned = F.transform(F.sequence(F.lit(0), F.size("data") - 1), lambda p: F.get("data", ((p % F.col("nrows")) * F.col("ncols") + F.floor(p / F.col("nrows"))).cast("int")))
-        df = self.df.select(F.col("bj").alias("bi"), F.col("bi").alias("bj"), F.col("ncols").alias("nrows"), F.col("nrows").alias("ncols"), turned.alias("data"))
+        # first the data, then the names: in one select the lambda would meet the new nrows and ncols
+        df = self.df.withColumn("turned", turned).select(F.col("bj").alias("bi"), F.col("bi").alias("bj"), F.col("ncols").alias("nrows"), F.col("nrows").alias("ncols"), F.col("turned").alias("data"))
         return TileFrame(df, self.height(), self.n, self.cols, self.rows)
 
 

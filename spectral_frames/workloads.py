@@ -132,10 +132,10 @@ def rank_polynomial(spark, d):
 
 
 #: Working precisions midway between neighbours of ten values that fall from 1 to 1e-20.
-_CUTS = [5e-4, 3e-6, 5e-8, 1e-10]
+_CUTS = [5e-4, 3e-6, 1e-7, 1e-10]
 
 
-@query("""SELECT core, cut, CAST(count(*) AS INTEGER) AS rank FROM (VALUES ('mixed_qr'), ('gram')) AS c(core), (VALUES (1, 5e-4), (2, 3e-6), (3, 5e-8), (4, 1e-10)) AS w(cut, wp), range(10) AS j(j)
+@query("""SELECT core, cut, CAST(count(*) AS INTEGER) AS rank FROM (VALUES ('mixed_qr'), ('gram')) AS c(core), (VALUES (1, 5e-4), (2, 3e-6), (3, 1e-7), (4, 1e-10)) AS w(cut, wp), range(10) AS j(j)
 WHERE power(10, -20.0 * j / 9) >= CASE WHEN core = 'gram' AND cut > 2 THEN 3e-6 ELSE wp END GROUP BY 1, 2""")
 def rank_by_precision(spark, d):
     """The kept rank follows the working precision: directly for mixed QR, by its square root for Gram (whose two finest settings are one here)."""
@@ -759,11 +759,11 @@ def _ran(stream: DataFrame, source: DataFrame, name: str, mode: str) -> DataFram
     return streaming.run_to_table(stream, f"frames_{name}", mode, f"{source.frames_top}/{name}")
 
 
-@query("SELECT CAST(date_trunc('day', ts) AS DATE) AS day, count(*) AS n, CAST(round(sum(value) * 100) AS BIGINT) AS s0, CAST(round(sum(value * value)) AS BIGINT) AS s0_0 FROM events GROUP BY 1")
+@query("SELECT strftime(ts, '%Y-%m-%d') AS day, count(*) AS n, CAST(round(sum(value) * 100) AS BIGINT) AS s0, CAST(round(sum(value * value)) AS BIGINT) AS s0_0 FROM events GROUP BY 1")
 def stream_gram_daily(spark, d):
     s = _stream(spark, d)
     out = _ran(streaming.windowed(s, "ts", [F.col("value")], late=None), s, "daily", "complete")
-    return out.select(F.to_date("start").alias("day"), "n", whole(F.col("s0"), 100).alias("s0"), whole(F.col("s0_0")).alias("s0_0"))
+    return out.select(F.date_format("start", "yyyy-MM-dd").alias("day"), "n", whole(F.col("s0"), 100).alias("s0"), whole(F.col("s0_0")).alias("s0_0"))
 
 
 @query("""WITH m AS (SELECT user_id, ts, value, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS new FROM events),
