@@ -8,13 +8,13 @@ string of full length is the pair of its halves' ranks, and the documents' order
 
 1. Names.  Texts are dealt into groups by document; a task sends the sorted 48-bit names of its anchors' halves in
    packed blocks by range of names, and gets back those that two documents share.
-2. Contexts.  With them, a second scan finds each document's open anchors and sends, per anchor, its name and the rank of
-   its whole context (all strings around it at once).  The least document by context settles most anchors: if an earlier
-   document holds the whole context, all strings around the anchor are repeated; if no earlier one holds even the half,
-   none is.
+2. Contexts.  With them, a second scan finds each group's open anchors and sends, in such blocks again, each anchor's name, a
+   hash of its whole context (all strings around it at once) and the group's least document that holds it.  What
+   comes back settles most anchors: if an earlier document holds the whole context, all strings around the anchor are
+   repeated; if no earlier one holds even the half, none is.
 3. Strings.  For the others the strings of full length around the anchor are ranked one by one.
 
-Names are hashes (64 bits and, for strings, 64 bits more of the place), not order-preserving ranks: only equality matters for removal.
+Names are hashes (of contexts, 112 bits), not order-preserving ranks: only equality matters for removal.
 
 Null or empty text: no bytes.  Null doc_id: after all others, all alike.  Rows of one doc_id: none is earlier than
 another; equal rows get equal results.  Empty table: no rows.
@@ -35,6 +35,8 @@ from .common import durable, pick
 _BASE = np.uint64(0x9E3779B97F4A7C15)
 #: doc_id of rows that have none: after all others.
 _LAST = (1 << 63) - 1
+#: The bits of a half's hash that name it.
+_NAME = np.uint64((1 << 48) - 1)
 
 
 def _mix(h: np.ndarray) -> np.ndarray:
@@ -59,19 +61,28 @@ def window_hashes(b: np.ndarray, size: int) -> np.ndarray:
         power = _mix(power[: len(b) - h + 1] * _BASE + power[h // 2 : h // 2 + len(b) - h + 1])
 
 
+#: Low bits of a hash that make room for its place while the least one is sought.
+_PLACE = np.uint64((1 << 20) - 1)
+
+
 def sliding_least(values: np.ndarray, width: int) -> np.ndarray:
-    """Place of the least value in each window of ``width`` values, the leftmost of equals."""
+    """Place of the least value (by its upper 44 bits) in each window of ``width`` values, the leftmost of equals."""
     n = len(values) - width + 1
-    if n < 1:
-        return np.zeros(0, np.int64)
-    at = np.arange(len(values))
-    h = 1
-    while h * 2 <= width:
-        left, right = at[: len(at) - h], at[h:]
-        at = np.where(values[right] < values[left], right, left)
-        h *= 2
-    left, right = at[:n], at[width - h : width - h + n]
-    return np.where(values[right] < values[left], right, left)
+    out = np.zeros(max(n, 0), np.int64)
+    step = int(_PLACE) + 2 - width
+    for lo in range(0, n, step):
+        size = min(step, n - lo)
+        part = values[lo : lo + size + width - 1]
+        least = (part & ~_PLACE) | _counting(len(part))
+        h = 1
+        while h * 2 <= width:
+            least = np.minimum(least[:-h], least[h:])
+            h *= 2
+        out[lo : lo + size] = (np.minimum(least[:size], least[width - h : width - h + size]) & _PLACE).astype(np.int64) + lo
+    return out
+
+
+_BYTES = _mix(_mix(np.arange(1, 257, dtype=np.uint64) * _BASE) + _BASE)
 
 
 class Text:
@@ -79,22 +90,41 @@ class Text:
 
     def __init__(self, data: bytes, length: int):
         self.b = np.frombuffer(data, np.uint8)
-        self.half_size = length // 2
-        self.half = window_hashes(self.b, self.half_size)
-        self.anchor_of = sliding_least(self.half, length - self.half_size + 1)  # by start of the string
-        change = np.concatenate(([True], self.anchor_of[1:] != self.anchor_of[:-1])) if len(self.anchor_of) else np.zeros(0, bool)
-        self.first = np.flatnonzero(change)  # the strings of an anchor are consecutive
-        self.anchors = self.anchor_of[self.first]
-        self.stop = np.append(self.first[1:], len(self.anchor_of))
+        n, size = len(self.b), length // 2
+        # sums of terms by position: a difference, brought to a common origin by the inverse power of its start, names a string
+        self.rolled = np.zeros(n + 1, np.uint64)
+        np.cumsum(_BYTES[self.b] * _powers(n), out=self.rolled[1:])
+        self.half = _mix((self.rolled[size:] - self.rolled[: n + 1 - size]) * _inverse_powers(n)[: n + 1 - size]) if n >= length else np.zeros(0, np.uint64)
+        anchor_of = sliding_least(self.half, length - size + 1)  # by start of the string
+        # the strings of an anchor are consecutive
+        self.first = np.flatnonzero(np.concatenate(([True], anchor_of[1:] != anchor_of[:-1]))) if len(anchor_of) else np.zeros(0, np.int64)
+        self.anchors = anchor_of[self.first]
+        self.stop = np.append(self.first[1:], len(anchor_of)) if len(anchor_of) else self.first
+        self.strings = len(anchor_of)
+
+    def names(self) -> np.ndarray:
+        return self.half[self.anchors] & _NAME
 
     def contexts(self, length: int) -> np.ndarray:
         """One hash per anchor of all bytes that its strings cover, from where they start relative to it."""
         lo, hi = self.first, self.stop - 1 + length
-        rolled = np.concatenate(([np.uint64(0)], np.cumsum(_mix(self.b.astype(np.uint64) + np.uint64(1)) * _powers(len(self.b)), dtype=np.uint64)))
-        # sums of terms by position, brought to a common origin by the inverse power of the start
-        span = (rolled[hi] - rolled[lo]) * _inverse_powers(len(self.b))[lo]
+        span = (self.rolled[hi] - self.rolled[lo]) * _inverse_powers(len(self.b))[lo]
         return _mix(_mix(span ^ (hi - lo).astype(np.uint64)) + (self.anchors - lo).astype(np.uint64) * _BASE)
 
+    def starts(self, which: np.ndarray) -> np.ndarray:
+        """Where the strings around these anchors start."""
+        size = self.stop[which] - self.first[which]
+        return np.repeat(self.first[which] - np.cumsum(size) + size, size) + np.arange(size.sum())
+
+    def cut(self, starts: np.ndarray, length: int) -> tuple[int, int, bytes]:
+        """Bytes and runs removed with the strings that start there, and what is left."""
+        cover = np.zeros(len(self.b) + 1, np.int64)
+        starts = np.unique(starts)
+        cover[starts] += 1
+        cover[starts + length] -= 1
+        gone = np.cumsum(cover[:-1]) > 0
+        return int(gone.sum()), int(gone[:1].sum() + (gone[1:] & ~gone[:-1]).sum()), self.b[~gone].tobytes()
+
 
 _ODD = 0x5851F42D4C957F2D
 _tables = [np.ones(1, np.uint64), np.ones(1, np.uint64)]
@@ -116,12 +146,22 @@ def _inverse_powers(n: int) -> np.ndarray:
     return _grown(1, pow(_ODD, -1, 1 << 64), n)[: n + 1]
 
 
+_count = np.arange(1 << 16, dtype=np.uint64)
+
+
+def _counting(n: int) -> np.ndarray:
+    global _count
+    if len(_count) < n:
+        _count = np.arange(2 * n, dtype=np.uint64)
+    return _count[:n]
+
+
 def _grouped(rows: DataFrame, groups: int):
     return F.pmod(F.xxhash64("doc", "text_key"), F.lit(groups)).cast("int")
 
 
-def repeated_spans(docs: DataFrame, length: int = 50, anchors_per_block: int = 1 << 20) -> DataFrame:
-    """(doc, text_key, n_bytes, n_removed, n_spans, kept_sha256, kept binary only where bytes were removed): one row per distinct (doc_id, text)."""
+def repeated_spans(docs: DataFrame, length: int = 50, anchors_per_block: int = 1 << 20, texts_too: bool = True) -> DataFrame:
+    """(doc, text_key, n_bytes, n_removed, n_spans, kept_sha256, kept binary only where bytes were removed and ``texts_too``): one row per row of docs."""
     rows = pick(docs, "doc_id", "text").select(F.coalesce(F.col("doc_id").cast("long"), F.lit(_LAST)).alias("doc"), F.xxhash64("text").alias("text_key"), F.coalesce(F.col("text"), F.lit("")).cast("binary").alias("text"))
     total = rows.agg(F.sum(F.length("text"))).first()[0] or 0
     ranges = max(16, int(total / 13 / anchors_per_block) + 1)  # of names: about anchors_per_block in each
@@ -153,8 +193,7 @@ def repeated_spans(docs: DataFrame, length: int = 50, anchors_per_block: int = 1
                 cuts = np.searchsorted(part, np.arange(ranges + 1))
                 for p in range(ranges):
                     if cuts[p] < cuts[p + 1]:
-                        some = h[cuts[p] : cuts[p + 1]].astype("<u8").view(np.uint8).reshape(-1, 8)[:, :6]
-                        yield p, g, some.tobytes()
+                        yield p, g, _packed(h[cuts[p] : cuts[p + 1]])
 
         held, size = [], 0
         for batch in batches:
@@ -162,7 +201,7 @@ def repeated_spans(docs: DataFrame, length: int = 50, anchors_per_block: int = 1
             for i in range(batch.num_rows):
                 t = Text(texts[i].as_py(), length)
                 if len(t.anchors):
-                    held.append((grp[i], docs_[i], t.half[t.anchors] & np.uint64((1 << 48) - 1)))
+                    held.append((grp[i], docs_[i], t.names()))
                     size += len(t.anchors)
                 if size > 2_000_000:
                     yield _blocks(list(blocks(held)))
@@ -183,140 +222,206 @@ def repeated_spans(docs: DataFrame, length: int = 50, anchors_per_block: int = 1
             new = np.concatenate(([True], (h[1:] != h[:-1]) | (g[1:] != g[:-1]))) if len(h) else np.zeros(0, bool)
             h, g = h[new], g[new]
             cuts = np.flatnonzero(np.concatenate(([True], g[1:] != g[:-1], [True]))) if len(g) else [0]
-            return [(p, int(g[lo]), h[lo:hi].astype("<u8").view(np.uint8).reshape(-1, 8)[:, :6].tobytes()) for lo, hi in zip(cuts[:-1], cuts[1:], strict=True)]
+            return [(p, int(g[lo]), _packed(h[lo:hi])) for lo, hi in zip(cuts[:-1], cuts[1:], strict=True)]
 
-        now, parts = None, []
-        for batch in batches:
-            for p, g, data in zip(*(batch.column(c).to_pylist() for c in ("part", "grp", "names")), strict=True):
-                if p != now and parts:
-                    yield _blocks(settle(now, parts))
-                    parts = []
-                now = p
-                parts.append((g, _unpacked(data)))
-        if parts:
-            yield _blocks(settle(now, parts))
+        for p, parts in _by_part(batches, "names"):
+            yield _blocks(settle(p, [(g, _unpacked(data)) for g, data in parts]))
 
     schema = "part int, grp int, names binary"
-    sent = keyed.select("doc", "grp", "text").mapInArrow(names, schema)
-    back = durable(sent.repartition(ranges, "part").sortWithinPartitions("part").mapInArrow(shared, schema))
+    back = _written(keyed.select("doc", "grp", "text").mapInArrow(names, schema).repartition(ranges, "part").sortWithinPartitions("part").mapInArrow(shared, schema))
 
     # 2. open anchors, by a second scan in which each group of texts meets its shared names
 
-    both = keyed.select("grp", F.lit(1).alias("kind"), "doc", "text_key", "text").unionByName(back.select("grp", F.lit(0).alias("kind"), F.lit(0).cast("long").alias("doc"), F.lit(0).cast("long").alias("text_key"), F.col("names").alias("text")))
+    none = F.lit(0).cast("long")
+    both = keyed.select("grp", F.lit(1).alias("kind"), "doc", "text_key", "text").unionByName(back.select("grp", F.lit(0).alias("kind"), none.alias("doc"), none.alias("text_key"), F.col("names").alias("text")))
 
     def contexts(batches):
-        now, known, fresh = None, np.zeros(0, np.uint64), []
-        for batch in batches:
-            out: list = []
-            cols = [batch.column(c).to_pylist() for c in ("grp", "kind", "doc", "text_key")]
-            texts = batch.column("text")
-            for i, (g, kind, doc, key) in enumerate(zip(*cols, strict=True)):
-                if g != now:
-                    now, known, fresh = g, np.zeros(0, np.uint64), []
-                data = texts[i].as_py()
+        def opened_texts(g, known, texts):
+            known = np.unique(np.concatenate([_unpacked(x) for x in known])) if known else np.zeros(0, np.uint64)
+            found, out = [], []
+            for (doc, key), (data, times) in texts.items():
+                t = Text(data, length)
+                name = t.names()
+                at = np.flatnonzero(_within(name, known))
+                if len(at):
+                    found.append((doc, key, at, len(name), name[at], t.contexts(length)[at]))
+                    out += [(g, None, doc, key, len(data), None, zlib.compress(data, 1), None)] * times
+                else:
+                    out += [(g, None, doc, key, len(data), hashlib.sha256(data).hexdigest(), None, None)] * times
+            if not found:
+                return out
+            # the group's least document that holds a context; anchors of later ones are repeated within the group
+            sizes = [len(f[2]) for f in found]
+            d, n, c = np.repeat(np.array([f[0] for f in found]), sizes), np.concatenate([f[4] for f in found]), np.concatenate([f[5] for f in found])
+            order = np.lexsort((d, c, n))
+            new = np.concatenate(([True], (n[order][1:] != n[order][:-1]) | (c[order][1:] != c[order][:-1])))
+            least = np.empty(len(d), np.int64)
+            least[order] = d[order][new][np.cumsum(new) - 1]
+            later, ends, bits = least < d, np.cumsum(sizes), {}
+            for (doc, key, at, size, _, _), hi in zip(found, ends, strict=True):
+                mark = np.zeros(size, bool)
+                mark[at] = later[hi - len(at) : hi]
+                bits[doc, key] = np.packbits(mark).tobytes()
+            out = [(*r[:7], bits.get(r[2:4])) for r in out]
+            d, n, c = d[order][new], n[order][new], c[order][new]
+            part = (n % np.uint64(ranges)).astype(np.int64)
+            order = np.argsort(part, kind="stable")
+            cuts = np.searchsorted(part[order], np.arange(ranges + 1))
+            for p in np.flatnonzero(cuts[1:] > cuts[:-1]):
+                some = order[cuts[p] : cuts[p + 1]]
+                out.append((g, int(p), None, None, None, None, _packed(n[some]) + c[some].astype("<u8").tobytes() + d[some].astype("<i8").tobytes(), None))
+            return out
+
+        for g, rows_ in _by_group(batches, ("kind", "doc", "text_key", "text")):
+            known, texts = [], {}
+            for kind, doc, key, data in rows_:
                 if kind == 0:
-                    fresh.append(_unpacked(data))
+                    known.append(data)
+                else:
+                    texts[doc, key] = data, texts.get((doc, key), (data, 0))[1] + 1
+            yield _records(opened_texts(g, known, texts), _OPEN)
+
+    opened = _written(both.repartition(groups, "grp").sortWithinPartitions("grp", "kind").mapInArrow(contexts, _ddl(_OPEN)))
+
+    def settled(batches):
+        """By group, the contexts that an earlier document of another group holds, and those to be looked into string by string."""
+        for p, parts in _by_part(batches, "packed"):
+            cols = []
+            for g, data in parts:
+                k = len(data) // 22
+                cols.append((np.full(k, g), _unpacked(data[: 6 * k]), np.frombuffer(data, "<u8", k, 6 * k), np.frombuffer(data, "<i8", k, 14 * k)))
+            g, n, c, d = (np.concatenate(x) for x in zip(*cols, strict=True))
+            order = np.lexsort((d, c, n))
+            g, n, c, d = g[order], n[order], c[order], d[order]
+            name = np.concatenate(([True], n[1:] != n[:-1]))
+            kind = name | np.concatenate(([True], c[1:] != c[:-1]))
+            of = np.cumsum(name) - 1
+            low = d[kind][np.cumsum(kind) - 1]
+            begins = np.flatnonzero(name)
+            apart = (np.bincount(of, kind) > 1) & (np.minimum.reduceat(d, begins) < np.maximum.reduceat(d, begins))
+            state = np.where(low < d, 2, np.where(apart[of], 1, 0))
+            order = np.flatnonzero(state)
+            order = order[np.lexsort((state[order], g[order]))]
+            g, state, c = g[order], state[order], c[order]
+            cuts = np.flatnonzero(np.concatenate(([True], (g[1:] != g[:-1]) | (state[1:] != state[:-1]), [True]))) if len(g) else [0]
+            yield pa.RecordBatch.from_arrays([pa.array([int(x[lo]) for lo in cuts[:-1]], pa.int32()) for x in (g, state)] + [pa.array([c[lo:hi].astype("<u8").tobytes() for lo, hi in zip(cuts[:-1], cuts[1:], strict=True)], pa.binary())], ["grp", "state", "contexts"])
+
+    answers = opened.where("part is not null").select("part", "grp", "packed").repartition(ranges, "part").sortWithinPartitions("part").mapInArrow(settled, "grp int, state int, contexts binary")
+    texts = opened.where("packed is not null and part is null").select("grp", F.lit(3).alias("state"), "doc", "text_key", "packed", "later")
+    meeting = texts.unionByName(answers.select("grp", "state", none.alias("doc"), none.alias("text_key"), F.col("contexts").alias("packed"), F.lit(None).cast("binary").alias("later")))
+
+    def judged(batches):
+        for _, rows_ in _by_group(batches, ("state", "doc", "text_key", "packed", "later")):
+            known: dict = {1: [], 2: []}
+            out = []
+            for state, doc, key, data, later in rows_:
+                if state < 3:
+                    known[state].append(np.frombuffer(data, "<u8"))
                     continue
-                if fresh:
-                    known, fresh = np.unique(np.concatenate(fresh)), []
+                if isinstance(known[1], list):
+                    known = {k: np.unique(np.concatenate(v)) if v else np.zeros(0, np.uint64) for k, v in known.items()}
+                data = zlib.decompress(data)
                 t = Text(data, length)
-                name = t.half[t.anchors]
-                short = name & np.uint64((1 << 48) - 1)
-                open_ = known[np.minimum(np.searchsorted(known, short), len(known) - 1)] == short if len(known) and len(short) else np.zeros(len(short), bool)
-                if open_.any():
-                    at = np.flatnonzero(open_)
-                    out.append((doc, key, len(data), None, zlib.compress(data, 1), at.astype("<i4").tobytes(), name[at].tobytes(), t.contexts(length)[at].tobytes()))
+                c = t.contexts(length)
+                gone = np.unpackbits(np.frombuffer(later, np.uint8), count=len(c)).astype(bool) | _within(c, known[2])
+                one = _within(c, known[1]) & ~gone
+                if one.any():
+                    out.append((doc, key, len(data), None, None, None, zlib.compress(data, 1), np.packbits(gone).tobytes(), np.packbits(one).tobytes()))
                 else:
-                    out.append((doc, key, len(data), hashlib.sha256(data).hexdigest(), None, None, None, None))
-            yield _records(out, _OPEN)
+                    n, spans, rest = t.cut(t.starts(np.flatnonzero(gone)), length)
+                    out.append((doc, key, len(data), n, spans, hashlib.sha256(rest).hexdigest(), rest if spans and texts_too else None, None, None))
+            yield _records(out, _JUDGED)
 
-    opened = durable(both.repartition(groups, "grp").sortWithinPartitions("grp", "kind").mapInArrow(contexts, _ddl(_OPEN)))
-    candidates = opened.where("packed is not null")
-
-    def anchors(batches):
-        for batch in batches:
-            for i in range(batch.num_rows):
-                at, name, ctx = (np.frombuffer(batch.column(c)[i].as_py(), k) for c, k in (("at", "<i4"), ("names", np.int64), ("contexts", np.int64)))
-                n = len(at)
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(n, batch.column("doc")[i].as_py())), pa.array(np.full(n, batch.column("text_key")[i].as_py())), pa.array(at), pa.array(name), pa.array(ctx)], ["doc", "text_key", "at", "name", "context"])
-
-    flat = candidates.mapInArrow(anchors, "doc long, text_key long, at int, name long, context long")
-    by_context = flat.groupBy("name", "context").agg(F.min("doc").alias("low"), F.max("doc").alias("high"))
-    by_name = by_context.groupBy("name").agg(F.min("low").alias("least"), F.max("high").alias("most"), F.count("*").alias("kinds"))
-    by_name = by_name.where("least < most").select("name", "kinds")
-    settled = durable(by_context.join(by_name, "name").select("name", "context", "low", "kinds"))
-    mine = flat.join(settled, ["name", "context"])
-    # 2: all strings around the anchor are repeated; 1: to be ranked one by one, as what is repeated or as what it repeats
-    state = F.when(F.col("low") < F.col("doc"), 2).when(F.col("kinds") > 1, 1)
-    states = mine.select("doc", "text_key", "at", state.alias("state")).where("state is not null")
-    per_doc = states.groupBy("doc", "text_key").agg(F.collect_list(F.struct("at", "state")).alias("states"))
-    work = durable(candidates.select("doc", "text_key", "packed").join(per_doc, ["doc", "text_key"]))
+    settled_docs = _written(meeting.repartition(groups, "grp").sortWithinPartitions("grp", "state").mapInArrow(judged, _ddl(_JUDGED)))
+    work = settled_docs.where("one is not null")
 
     # 3. strings one by one
 
     def strings(batches):
         for batch in batches:
             for i in range(batch.num_rows):
-                st = batch.column("states")[i].as_py()
-                one = np.sort(np.array([x["at"] for x in st if x["state"] == 1], np.int64))
-                if len(one):
-                    t = Text(zlib.decompress(batch.column("packed")[i].as_py()), length)
-                    full = window_hashes(t.b, length).view(np.int64)
-                    size = t.stop[one] - t.first[one]
-                    start = np.repeat(t.first[one] - np.cumsum(size) + size, size) + np.arange(size.sum())
-                    h = np.unique(full[start])
-                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(h), batch.column("doc")[i].as_py())), pa.array(h)], ["doc", "rank"])
-
-    ranks = work.mapInArrow(strings, "doc long, rank long")
-    firsts = ranks.groupBy("rank").agg(F.min("doc").alias("low"), F.max("doc").alias("high")).where("low < high")
-    again = durable(ranks.join(durable(firsts), "rank").where("low < doc").groupBy("doc").agg(F.collect_list("rank").alias("again")))
+                t = Text(zlib.decompress(batch.column("kept")[i].as_py()), length)
+                one = np.flatnonzero(np.unpackbits(np.frombuffer(batch.column("one")[i].as_py(), np.uint8), count=len(t.first)))
+                h = np.unique(window_hashes(t.b, length).view(np.int64)[t.starts(one)])
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(h), batch.column(c)[i].as_py())) for c in ("doc", "text_key")] + [pa.array(h)], ["doc", "text_key", "rank"])
+
+    ranks = work.select("doc", "text_key", "kept", "one").mapInArrow(strings, "doc long, text_key long, rank long")
+    firsts = _written(ranks.groupBy("rank").agg(F.min("doc").alias("low"), F.max("doc").alias("high")).where("low < high"))
+    again = _written(ranks.join(firsts, "rank").where("low < doc").groupBy("doc", "text_key").agg(F.collect_list("rank").alias("again")))
 
     def kept(batches):
         for batch in batches:
             out = []
             for i in range(batch.num_rows):
-                data = zlib.decompress(batch.column("packed")[i].as_py())
-                t = Text(data, length)
-                st = batch.column("states")[i].as_py() or []
-                gone = np.zeros(len(t.anchor_of), bool)  # by start of a string
-                for x in st:
-                    if x["state"] == 2:
-                        gone[t.first[x["at"]] : t.stop[x["at"]]] = True
-                again_ = batch.column("again")[i].as_py()
-                if again_:
-                    found = np.isin(window_hashes(t.b, length).view(np.int64), np.array(again_, np.int64))
-                    for x in st:
-                        if x["state"] == 1:
-                            s = slice(t.first[x["at"]], t.stop[x["at"]])
-                            gone[s] |= found[s]
-                cover = np.zeros(len(data) + 1, np.int64)
-                starts = np.flatnonzero(gone)
-                np.add.at(cover, starts, 1)
-                np.add.at(cover, starts + length, -1)
-                removed = np.cumsum(cover[:-1]) > 0
-                spans = int(removed[:1].sum() + (removed[1:] & ~removed[:-1]).sum())
-                rest = t.b[~removed].tobytes()
-                out.append((batch.column("doc")[i].as_py(), batch.column("text_key")[i].as_py(), len(data), int(removed.sum()), spans, hashlib.sha256(rest).hexdigest(), rest if spans else None))
+                doc, key, size, data, gone, one, found = (batch.column(c)[i].as_py() for c in ("doc", "text_key", "n_bytes", "kept", "gone", "one", "again"))
+                t = Text(zlib.decompress(data), length)
+                gone, one = (np.flatnonzero(np.unpackbits(np.frombuffer(x, np.uint8), count=len(t.first))) for x in (gone, one))
+                starts = t.starts(gone)
+                if found:
+                    more = t.starts(one)
+                    starts = np.concatenate((starts, more[np.isin(window_hashes(t.b, length).view(np.int64)[more], np.array(found, np.int64))]))
+                n, spans, rest = t.cut(starts, length)
+                out.append((doc, key, size, n, spans, hashlib.sha256(rest).hexdigest(), rest if spans and texts_too else None))
             yield _records(out, _KEPT)
 
-    done = work.join(again, "doc", "left").mapInArrow(kept, _ddl(_KEPT))
-    rest = opened.join(work.select("doc", "text_key"), ["doc", "text_key"], "left_anti")
+    done = work.select("doc", "text_key", "n_bytes", "kept", "gone", "one").join(again, ["doc", "text_key"], "left").mapInArrow(kept, _ddl(_KEPT))
+    zero = F.lit(0).cast("long")
+    untouched = opened.where("sha is not null").select("doc", "text_key", "n_bytes", zero.alias("n_removed"), zero.alias("n_spans"), F.col("sha").alias("kept_sha256"), F.lit(None).cast("binary").alias("kept"))
+    return done.unionByName(settled_docs.where("one is null").select(*_KEPT)).unionByName(untouched)
 
-    def untouched(batches):
-        for batch in batches:
-            sha = [s if s is not None else hashlib.sha256(zlib.decompress(p)).hexdigest() for s, p in zip(batch.column("sha").to_pylist(), batch.column("packed").to_pylist(), strict=True)]
-            zero = pa.array(np.zeros(batch.num_rows, np.int64))
-            yield pa.RecordBatch.from_arrays([batch.column("doc"), batch.column("text_key"), batch.column("n_bytes"), zero, zero, pa.array(sha, pa.string()), pa.nulls(batch.num_rows, pa.binary())], list(_KEPT))
 
-    return done.unionByName(rest.select("doc", "text_key", "n_bytes", "sha", "packed").mapInArrow(untouched, _ddl(_KEPT)))
+_OPEN = {"grp": pa.int32(), "part": pa.int32(), "doc": pa.int64(), "text_key": pa.int64(), "n_bytes": pa.int64(), "sha": pa.string(), "packed": pa.binary(), "later": pa.binary()}
+_KEPT = {"doc": pa.int64(), "text_key": pa.int64(), "n_bytes": pa.int64(), "n_removed": pa.int64(), "n_spans": pa.int64(), "kept_sha256": pa.string(), "kept": pa.binary()}
+_JUDGED = _KEPT | {"gone": pa.binary(), "one": pa.binary()}
 
 
-_OPEN = {"doc": pa.int64(), "text_key": pa.int64(), "n_bytes": pa.int64(), "sha": pa.string(), "packed": pa.binary(), "at": pa.binary(), "names": pa.binary(), "contexts": pa.binary()}
-_KEPT = {"doc": pa.int64(), "text_key": pa.int64(), "n_bytes": pa.int64(), "n_removed": pa.int64(), "n_spans": pa.int64(), "kept_sha256": pa.string(), "kept": pa.binary()}
+def _written(df: DataFrame) -> DataFrame:
+    """A durable table; the shuffle files behind it, needed no more, are let go at once."""
+    out = durable(df)
+    df.sparkSession.sparkContext._jvm.java.lang.System.gc()
+    return out
+
+
+def _by_part(batches, column: str):
+    """(part, [(grp, block)]) for batches sorted by part."""
+    now, parts = None, []
+    for batch in batches:
+        for p, g, data in zip(*(batch.column(c).to_pylist() for c in ("part", "grp", column)), strict=True):
+            if p != now and parts:
+                yield now, parts
+                parts = []
+            now = p
+            parts.append((g, data))
+    if parts:
+        yield now, parts
+
+
+def _by_group(batches, columns: tuple[str, ...]):
+    """(grp, rows) for batches sorted by grp."""
+    now, held = None, []
+    for batch in batches:
+        for g, *row in zip(*(batch.column(c).to_pylist() for c in ("grp", *columns)), strict=True):
+            if g != now and held:
+                yield now, held
+                held = []
+            now = g
+            held.append(row)
+    if held:
+        yield now, held
+
+
+def _within(values: np.ndarray, known: np.ndarray) -> np.ndarray:
+    """Which values are in the sorted array."""
+    return known[np.minimum(np.searchsorted(known, values), len(known) - 1)] == values if len(known) else np.zeros(len(values), bool)
+
+
+def _packed(names: np.ndarray) -> bytes:
+    """Names of 48 bits in six bytes each."""
+    return names.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :6].tobytes()
 
 
 def _ddl(columns: dict) -> str:
-    return ", ".join(f"{k} {({pa.int64(): 'long', pa.string(): 'string', pa.binary(): 'binary'})[v]}" for k, v in columns.items())
+    return ", ".join(f"{k} {({pa.int32(): 'int', pa.int64(): 'long', pa.string(): 'string', pa.binary(): 'binary'})[v]}" for k, v in columns.items())
 
 
 def _records(rows: list[tuple], columns: dict) -> pa.RecordBatch:
@@ -335,13 +440,13 @@ def _unpacked(data: bytes) -> np.ndarray:
 
 
 def removed(docs: DataFrame, length: int = 50) -> DataFrame:
-    """(doc_id, n_bytes, n_removed, n_spans, kept_sha256): one row per distinct row of docs; a null doc_id stays null."""
-    found = repeated_spans(docs, length)
+    """(doc_id, n_bytes, n_removed, n_spans, kept_sha256): one row per row of docs; a null doc_id stays null."""
+    found = repeated_spans(docs, length, texts_too=False)
     return found.select(F.when(F.col("doc") < _LAST, F.col("doc")).alias("doc_id"), "n_bytes", "n_removed", "n_spans", "kept_sha256")
 
 
 def dedup(docs: DataFrame, length: int = 50) -> DataFrame:
     """(doc_id, text): what is left of each text; bytes that a cut left of a character become replacement characters."""
-    found = repeated_spans(docs, length).select("doc", "text_key", "kept", "n_spans").where("n_spans > 0")
+    found = repeated_spans(docs, length).select("doc", "text_key", "kept", "n_spans").where("n_spans > 0").dropDuplicates(["doc", "text_key"])
     rows = pick(docs, "doc_id", "text").withColumn("doc", F.coalesce(F.col("doc_id").cast("long"), F.lit(_LAST))).withColumn("text_key", F.xxhash64("text"))
     return rows.join(found, ["doc", "text_key"], "left").select("doc_id", F.when(F.col("n_spans") > 0, F.decode("kept", "UTF-8")).otherwise(F.col("text")).alias("text"))
