@@ -23,10 +23,10 @@ another; equal rows get equal results.  Empty table: no rows.
 from __future__ import annotations
 
 import hashlib
-import zlib
 
 import numpy as np
 import pyarrow as pa
+import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -228,24 +228,32 @@ def repeated_spans(docs: DataFrame, length: int = 50, anchors_per_block: int = 1
             yield _blocks(settle(p, [(g, _unpacked(data)) for g, data in parts]))
 
     schema = "part int, grp int, names binary"
-    back = _written(keyed.select("doc", "grp", "text").mapInArrow(names, schema).repartition(ranges, "part").sortWithinPartitions("part").mapInArrow(shared, schema))
+    back = _written(lambda: keyed.select("doc", "grp", "text").mapInArrow(names, schema).repartition(ranges, "part").sortWithinPartitions("part").mapInArrow(shared, schema))
 
     # 2. open anchors, by a second scan in which each group of texts meets its shared names
 
     none = F.lit(0).cast("long")
-    both = keyed.select("grp", F.lit(1).alias("kind"), "doc", "text_key", "text").unionByName(back.select("grp", F.lit(0).alias("kind"), none.alias("doc"), none.alias("text_key"), F.col("names").alias("text")))
+
+    def squeezed(batches):
+        press = zstandard.ZstdCompressor(level=3).compress
+        for batch in batches:
+            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in ("grp", "doc", "text_key")), pa.array([press(x.as_py()) for x in batch.column("text")], pa.binary())], ["grp", "doc", "text_key", "text"])
+
+    pressed = keyed.select("grp", "doc", "text_key", "text").mapInArrow(squeezed, "grp int, doc long, text_key long, text binary")
+    both = pressed.select("grp", F.lit(1).alias("kind"), "doc", "text_key", "text").unionByName(back.select("grp", F.lit(0).alias("kind"), none.alias("doc"), none.alias("text_key"), F.col("names").alias("text")))
 
     def contexts(batches):
         def opened_texts(g, known, texts):
             known = np.unique(np.concatenate([_unpacked(x) for x in known])) if known else np.zeros(0, np.uint64)
             found, out = [], []
-            for (doc, key), (data, times) in texts.items():
+            for (doc, key), (blob, times) in texts.items():
+                data = zstandard.decompress(blob)
                 t = Text(data, length)
                 name = t.names()
                 at = np.flatnonzero(_within(name, known))
                 if len(at):
                     found.append((doc, key, at, len(name), name[at], t.contexts(length)[at]))
-                    out += [(g, None, doc, key, len(data), None, zlib.compress(data, 1), None)] * times
+                    out += [(g, None, doc, key, len(data), None, blob, None)] * times
                 else:
                     out += [(g, None, doc, key, len(data), hashlib.sha256(data).hexdigest(), None, None)] * times
             if not found:
@@ -281,7 +289,7 @@ def repeated_spans(docs: DataFrame, length: int = 50, anchors_per_block: int = 1
                     texts[doc, key] = data, texts.get((doc, key), (data, 0))[1] + 1
             yield _records(opened_texts(g, known, texts), _OPEN)
 
-    opened = _written(both.repartition(groups, "grp").sortWithinPartitions("grp", "kind").mapInArrow(contexts, _ddl(_OPEN)))
+    opened = _written(lambda: both.repartition(groups, "grp").sortWithinPartitions("grp", "kind").mapInArrow(contexts, _ddl(_OPEN)))
 
     def settled(batches):
         """By group, the contexts that an earlier document of another group holds, and those to be looked into string by string."""
@@ -306,7 +314,7 @@ def repeated_spans(docs: DataFrame, length: int = 50, anchors_per_block: int = 1
             cuts = np.flatnonzero(np.concatenate(([True], (g[1:] != g[:-1]) | (state[1:] != state[:-1]), [True]))) if len(g) else [0]
             yield pa.RecordBatch.from_arrays([pa.array([int(x[lo]) for lo in cuts[:-1]], pa.int32()) for x in (g, state)] + [pa.array([c[lo:hi].astype("<u8").tobytes() for lo, hi in zip(cuts[:-1], cuts[1:], strict=True)], pa.binary())], ["grp", "state", "contexts"])
 
-    answers = opened.where("part is not null").select("part", "grp", "packed").repartition(ranges, "part").sortWithinPartitions("part").mapInArrow(settled, "grp int, state int, contexts binary")
+    answers = _written(lambda: opened.where("part is not null").select("part", "grp", "packed").repartition(ranges, "part").sortWithinPartitions("part").mapInArrow(settled, "grp int, state int, contexts binary"))
     texts = opened.where("packed is not null and part is null").select("grp", F.lit(3).alias("state"), "doc", "text_key", "packed", "later")
     meeting = texts.unionByName(answers.select("grp", "state", none.alias("doc"), none.alias("text_key"), F.col("contexts").alias("packed"), F.lit(None).cast("binary").alias("later")))
 
@@ -320,19 +328,19 @@ def repeated_spans(docs: DataFrame, length: int = 50, anchors_per_block: int = 1
                     continue
                 if isinstance(known[1], list):
                     known = {k: np.unique(np.concatenate(v)) if v else np.zeros(0, np.uint64) for k, v in known.items()}
-                data = zlib.decompress(data)
+                blob, data = data, zstandard.decompress(data)
                 t = Text(data, length)
                 c = t.contexts(length)
                 gone = np.unpackbits(np.frombuffer(later, np.uint8), count=len(c)).astype(bool) | _within(c, known[2])
                 one = _within(c, known[1]) & ~gone
                 if one.any():
-                    out.append((doc, key, len(data), None, None, None, zlib.compress(data, 1), np.packbits(gone).tobytes(), np.packbits(one).tobytes()))
+                    out.append((doc, key, len(data), None, None, None, blob, np.packbits(gone).tobytes(), np.packbits(one).tobytes()))
                 else:
                     n, spans, rest = t.cut(t.starts(np.flatnonzero(gone)), length)
                     out.append((doc, key, len(data), n, spans, hashlib.sha256(rest).hexdigest(), rest if spans and texts_too else None, None, None))
             yield _records(out, _JUDGED)
 
-    settled_docs = _written(meeting.repartition(groups, "grp").sortWithinPartitions("grp", "state").mapInArrow(judged, _ddl(_JUDGED)))
+    settled_docs = _written(lambda: meeting.repartition(groups, "grp").sortWithinPartitions("grp", "state").mapInArrow(judged, _ddl(_JUDGED)))
     work = settled_docs.where("one is not null")
 
     # 3. strings one by one
@@ -340,21 +348,21 @@ def repeated_spans(docs: DataFrame, length: int = 50, anchors_per_block: int = 1
     def strings(batches):
         for batch in batches:
             for i in range(batch.num_rows):
-                t = Text(zlib.decompress(batch.column("kept")[i].as_py()), length)
+                t = Text(zstandard.decompress(batch.column("kept")[i].as_py()), length)
                 one = np.flatnonzero(np.unpackbits(np.frombuffer(batch.column("one")[i].as_py(), np.uint8), count=len(t.first)))
                 h = np.unique(window_hashes(t.b, length).view(np.int64)[t.starts(one)])
                 yield pa.RecordBatch.from_arrays([pa.array(np.full(len(h), batch.column(c)[i].as_py())) for c in ("doc", "text_key")] + [pa.array(h)], ["doc", "text_key", "rank"])
 
     ranks = work.select("doc", "text_key", "kept", "one").mapInArrow(strings, "doc long, text_key long, rank long")
-    firsts = _written(ranks.groupBy("rank").agg(F.min("doc").alias("low"), F.max("doc").alias("high")).where("low < high"))
-    again = _written(ranks.join(firsts, "rank").where("low < doc").groupBy("doc", "text_key").agg(F.collect_list("rank").alias("again")))
+    firsts = _written(lambda: ranks.groupBy("rank").agg(F.min("doc").alias("low"), F.max("doc").alias("high")).where("low < high"))
+    again = _written(lambda: ranks.join(firsts, "rank").where("low < doc").groupBy("doc", "text_key").agg(F.collect_list("rank").alias("again")))
 
     def kept(batches):
         for batch in batches:
             out = []
             for i in range(batch.num_rows):
                 doc, key, size, data, gone, one, found = (batch.column(c)[i].as_py() for c in ("doc", "text_key", "n_bytes", "kept", "gone", "one", "again"))
-                t = Text(zlib.decompress(data), length)
+                t = Text(zstandard.decompress(data), length)
                 gone, one = (np.flatnonzero(np.unpackbits(np.frombuffer(x, np.uint8), count=len(t.first))) for x in (gone, one))
                 starts = t.starts(gone)
                 if found:
@@ -375,10 +383,10 @@ _KEPT = {"doc": pa.int64(), "text_key": pa.int64(), "n_bytes": pa.int64(), "n_re
 _JUDGED = _KEPT | {"gone": pa.binary(), "one": pa.binary()}
 
 
-def _written(df: DataFrame) -> DataFrame:
-    """A durable table; the shuffle files behind it, needed no more, are let go at once."""
-    out = durable(df)
-    df.sparkSession.sparkContext._jvm.java.lang.System.gc()
+def _written(make) -> DataFrame:
+    """A durable table of what ``make`` gives; the shuffle files behind it, needed no more, are let go at once."""
+    out = durable(make())
+    out.sparkSession.sparkContext._jvm.java.lang.System.gc()
     return out
 
 
