@@ -315,14 +315,17 @@ def repeated_spans(docs: DataFrame, length: int = 50, anchors_per_block: int = 1
             yield pa.RecordBatch.from_arrays([pa.array([int(x[lo]) for lo in cuts[:-1]], pa.int32()) for x in (g, state)] + [pa.array([c[lo:hi].astype("<u8").tobytes() for lo, hi in zip(cuts[:-1], cuts[1:], strict=True)], pa.binary())], ["grp", "state", "contexts"])
 
     answers = _written(lambda: opened.where("part is not null").select("part", "grp", "packed").repartition(ranges, "part").sortWithinPartitions("part").mapInArrow(settled, "grp int, state int, contexts binary"))
-    texts = opened.where("packed is not null and part is null").select("grp", F.lit(3).alias("state"), "doc", "text_key", "packed", "later")
-    meeting = texts.unionByName(answers.select("grp", "state", none.alias("doc"), none.alias("text_key"), F.col("contexts").alias("packed"), F.lit(None).cast("binary").alias("later")))
+    texts = opened.where("part is null").select("grp", F.lit(3).alias("state"), "doc", "text_key", "n_bytes", "sha", "packed", "later")
+    meeting = texts.unionByName(answers.select("grp", "state", none.alias("doc"), none.alias("text_key"), none.alias("n_bytes"), F.lit(None).cast("string").alias("sha"), F.col("contexts").alias("packed"), F.lit(None).cast("binary").alias("later")))
 
     def judged(batches):
-        for _, rows_ in _by_group(batches, ("state", "doc", "text_key", "packed", "later")):
+        for _, rows_ in _by_group(batches, ("state", "doc", "text_key", "n_bytes", "sha", "packed", "later")):
             known: dict = {1: [], 2: []}
             out = []
-            for state, doc, key, data, later in rows_:
+            for state, doc, key, size, sha, data, later in rows_:
+                if sha is not None:
+                    out.append((doc, key, size, 0, 0, sha, None, None, None))
+                    continue
                 if state < 3:
                     known[state].append(np.frombuffer(data, "<u8"))
                     continue
@@ -341,6 +344,7 @@ def repeated_spans(docs: DataFrame, length: int = 50, anchors_per_block: int = 1
             yield _records(out, _JUDGED)
 
     settled_docs = _written(lambda: meeting.repartition(groups, "grp").sortWithinPartitions("grp", "state").mapInArrow(judged, _ddl(_JUDGED)))
+    _discard(back, opened, answers)
     work = settled_docs.where("one is not null")
 
     # 3. strings one by one
@@ -356,6 +360,7 @@ def repeated_spans(docs: DataFrame, length: int = 50, anchors_per_block: int = 1
     ranks = work.select("doc", "text_key", "kept", "one").mapInArrow(strings, "doc long, text_key long, rank long")
     firsts = _written(lambda: ranks.groupBy("rank").agg(F.min("doc").alias("low"), F.max("doc").alias("high")).where("low < high"))
     again = _written(lambda: ranks.join(firsts, "rank").where("low < doc").groupBy("doc", "text_key").agg(F.collect_list("rank").alias("again")))
+    _discard(firsts)
 
     def kept(batches):
         for batch in batches:
@@ -373,9 +378,7 @@ def repeated_spans(docs: DataFrame, length: int = 50, anchors_per_block: int = 1
             yield _records(out, _KEPT)
 
     done = work.select("doc", "text_key", "n_bytes", "kept", "gone", "one").join(again, ["doc", "text_key"], "left").mapInArrow(kept, _ddl(_KEPT))
-    zero = F.lit(0).cast("long")
-    untouched = opened.where("sha is not null").select("doc", "text_key", "n_bytes", zero.alias("n_removed"), zero.alias("n_spans"), F.col("sha").alias("kept_sha256"), F.lit(None).cast("binary").alias("kept"))
-    return done.unionByName(settled_docs.where("one is null").select(*_KEPT)).unionByName(untouched)
+    return done.unionByName(settled_docs.where("one is null").select(*_KEPT))
 
 
 _OPEN = {"grp": pa.int32(), "part": pa.int32(), "doc": pa.int64(), "text_key": pa.int64(), "n_bytes": pa.int64(), "sha": pa.string(), "packed": pa.binary(), "later": pa.binary()}
@@ -390,6 +393,16 @@ def _written(make) -> DataFrame:
     return out
 
 
+def _discard(*tables: DataFrame) -> None:
+    """Deletes durable tables that nothing reads any more."""
+    for table in tables:
+        context = table.sparkSession.sparkContext
+        file = table._jdf.queryExecution().analyzed().rdd().getCheckpointFile()
+        if file.isDefined():
+            path = context._jvm.org.apache.hadoop.fs.Path(file.get())
+            path.getFileSystem(context._jsc.hadoopConfiguration()).delete(path, True)
+
+
 def _by_part(batches, column: str):
     """(part, [(grp, block)]) for batches sorted by part."""
     now, parts = None, []
