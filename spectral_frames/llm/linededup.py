@@ -2,9 +2,12 @@
 
 Lines with a word become IDs; a line that occurs once in the corpus is unique at depth one and leaves at once.
 Ranks double: the rank of a run of 2h lines comes from sorting the distinct pairs of ranks of its halves, and
-pairs met once leave.  A run counts from the line at which it holds ``least_chars`` characters; equal runs of that
-depth are the suffixes of one longest-common-prefix interval, and their least (doc_id, line) is the copy that stays.
-Every line that a later copy covers is deleted, so that what is deleted are the maximal repeated runs.
+pairs met once leave.  Runs step over blank lines and over no others.  A maximal repeated run of ``least_chars`` characters
+or more is the union of the windows within it that hold so many characters in the fewest lines from their first line on, or in
+the fewest lines up to their last: a line with enough characters of the run before it ends a window of the second kind, any other
+lies in the first kind's window at the run's start.  So both kinds are named, at all lines; the least (doc_id, line) of
+a window is the copy that stays, and all lines that later copies cover are deleted: the maximal repeated runs, whole.
+A blank line between two deleted lines goes with them.
 
 Null or empty text: no lines, kept as it is.  Null doc_id: after all others.  Repeated rows (same doc_id and text):
 treated alike, none is a later copy of the other.  Empty table: no rows.
@@ -21,11 +24,11 @@ _KEY = ["doc", "text_key"]
 
 
 def lines_of(docs: DataFrame) -> DataFrame:
-    """(doc, text_key, line, a, b, chars): lines with a word, by their place among all lines; a and b are hashes."""
+    """(doc, text_key, line, raw, a, b, chars): lines with a word, by their place among those and among all lines; a and b are hashes."""
     rows = pick(docs, "doc_id", "text").select(F.struct(F.col("doc_id").isNull().alias("none"), F.col("doc_id").alias("id")).alias("doc"), F.xxhash64("text").alias("text_key"), "text")
-    line = F.posexplode(F.split("text", "\n", -1)).alias("line", "s")
-    rows = rows.select(*_KEY, line).select(*_KEY, "line", F.trim(F.translate("s", "\t\r\x0b\x0c", "    ")).alias("t")).where("t <> ''")
-    return rows.select(*_KEY, "line", F.xxhash64("t").alias("a"), F.xxhash64(F.lit(5), "t").alias("b"), F.length("t").cast("long").alias("chars"))
+    every = F.transform(F.split("text", "\n", -1), lambda s, i: F.struct(i.alias("raw"), F.trim(F.translate(s, "\t\r\x0b\x0c", "    ")).alias("t")))
+    rows = rows.select(*_KEY, F.posexplode(F.filter(every, lambda x: x["t"] != "")).alias("line", "x")).select(*_KEY, "line", "x.raw", "x.t")
+    return rows.select(*_KEY, "line", "raw", F.xxhash64("t").alias("a"), F.xxhash64(F.lit(5), "t").alias("b"), F.length("t").cast("long").alias("chars"))
 
 
 def ranked(pairs: DataFrame, *by: str) -> DataFrame:
@@ -36,20 +39,22 @@ def ranked(pairs: DataFrame, *by: str) -> DataFrame:
 
 def later_copies(docs: DataFrame, least_chars: int = 40) -> DataFrame:
     """(doc, text_key, gone): the lines of each row that later copies cover, sorted."""
-    every = lines_of(docs)
+    every = durable(lines_of(docs))
     first = ranked(every, "a", "b")
-    now = every.join(first, ["a", "b"]).select(*_KEY, "line", F.col("rank").alias("r0"), "chars").distinct()
+    now = every.join(first, ["a", "b"]).select(*_KEY, "line", "raw", F.col("rank").alias("r0"), "chars").distinct()
     now = durable(now)
     by_row = Window.partitionBy(*_KEY).orderBy("line")
-    # islands of consecutive repeated lines: a run steps over no other line
+    # islands of repeated lines with none but blank ones between them
     run = now.withColumn("island", F.col("line") - F.row_number().over(by_row))
     inside = Window.partitionBy(*_KEY, "island").orderBy("line")
     upto = F.sum("chars").over(inside.rowsBetween(Window.unboundedPreceding, Window.currentRow))
     run = run.withColumn("end", upto).withColumn("begin", F.col("end") - F.col("chars"))
     reach = Window.partitionBy(*_KEY, "island").orderBy("begin").rangeBetween(0, least_chars - 1)
     run = run.withColumn("m", F.when(F.max("end").over(reach) - F.col("begin") >= least_chars, F.count("*").over(reach)))
-    run = durable(run.select(*_KEY, "line", "island", "r0", "m"))
-    longest = run.agg(F.max("m")).first()[0] or 0
+    behind = Window.partitionBy(*_KEY, "island").orderBy("end").rangeBetween(1 - least_chars, 0)
+    run = run.withColumn("back", F.when(F.col("end") - F.min("begin").over(behind) >= least_chars, F.count("*").over(behind)))
+    run = durable(run.select(*_KEY, "line", "raw", "island", "r0", "m", "back"))
+    longest = run.agg(F.max(F.greatest("m", "back"))).first()[0] or 0
     depth, level = 1, 0
     while depth * 2 <= longest:
         ahead = F.lead(f"r{level}", depth).over(inside)
@@ -59,9 +64,13 @@ def later_copies(docs: DataFrame, least_chars: int = 40) -> DataFrame:
         depth, level = depth * 2, level + 1
     # a run of m lines is named by the ranks of the two longest powers of two that cover it
     names = F.array(*[F.col(f"r{k}") for k in range(level + 1)])
-    run = durable(run.select(*_KEY, "line", "m", names.alias("names")))
+    run = durable(run.select(*_KEY, "line", "raw", "m", "back", names.alias("names")))
     power = F.floor(F.log2(F.col("m").cast("double")) + 1e-9).cast("int")
-    begins = run.where("m is not null").withColumn("k", power).withColumn("at", (F.col("line") + F.col("m") - F.pow(F.lit(2.0), F.col("k")).cast("int")).cast("int"))
+    ahead = run.where("m is not null").select(*_KEY, "line", "m", "names")
+    # windows up to a line, but for those that are windows from a line too (a single line always is)
+    upto = run.where("back > 1").select(*_KEY, (F.col("line") - F.col("back") + 1).cast("int").alias("line"), "back")
+    upto = upto.join(run.select(*_KEY, "line", "m", "names"), [*_KEY, "line"]).where("not m <=> back").select(*_KEY, "line", F.col("back").alias("m"), "names")
+    begins = ahead.unionByName(upto).withColumn("k", power).withColumn("at", (F.col("line") + F.col("m") - F.pow(F.lit(2.0), F.col("k")).cast("int")).cast("int"))
     head = begins.select(*_KEY, "line", "m", "at", "k", F.get("names", F.col("k")).alias("head")).where("head is not null")
     second = head.where("at <> line").join(run.select(*_KEY, F.col("line").alias("at"), "names"), [*_KEY, "at"])
     columns = [*_KEY, "line", "m", "head"]
@@ -71,7 +80,14 @@ def later_copies(docs: DataFrame, least_chars: int = 40) -> DataFrame:
     own = F.struct("doc", "text_key", "line")
     later = named.join(earliest, ["m", "head", "tail"]).where(own > F.col("low"))
     gone = later.select(*_KEY, F.explode(F.sequence(F.col("line"), (F.col("line") + F.col("m") - 1).cast("int"))).alias("line"))
-    return durable(gone.groupBy(*_KEY).agg(F.array_sort(F.collect_set("line")).alias("gone")))
+    placed = gone.distinct().join(run.select(*_KEY, "line", "raw"), [*_KEY, "line"])
+    gone = placed.groupBy(*_KEY).agg(F.array_sort(F.collect_list(F.struct("line", "raw"))).alias("at"))
+
+    def through(x, i):  # blank lines up to the next deleted line, if no other lies between
+        after = F.get("at", i + 1)
+        return F.when(after["line"] == x["line"] + 1, F.sequence(x["raw"], after["raw"] - 1)).otherwise(F.array(x["raw"]))
+
+    return durable(gone.select(*_KEY, F.flatten(F.transform("at", through)).alias("gone")))
 
 
 def _with_gone(rows: DataFrame, gone: DataFrame, doc_id: str, text: str) -> DataFrame:
