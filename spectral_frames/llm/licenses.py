@@ -1,8 +1,8 @@
 """License scan with a positional rare-token index, in DataFrame operations only.
 
 One scan makes a row's word count, the places of the base phrases and the positional postings of its license
-words (words of the templates below; whole texts).  Document frequencies over all rows weigh the words.  A
-row's rarest license words are looked up in the template postings; the difference of the two positions is where
+words (the rare words of the templates below; whole texts).  Document frequencies over all rows weigh the words.  All
+license words of a row are looked up in the template postings; the difference of the two positions is where
 the template would start, and places on which enough weight agrees are candidates.  A candidate counts if the
 mandatory phrase of its template stands at its very place.  Texts are not shuffled.
 
@@ -96,7 +96,7 @@ def _literal_rows(spark, rows: list[tuple], schema: list[str]) -> DataFrame:
     return spark.range(1).select(F.inline(table))
 
 
-def matches(rows: DataFrame, rarest: int = 8, agree: float = 0.5) -> DataFrame:
+def matches(rows: DataFrame, agree: float = 0.5) -> DataFrame:
     """(doc_id, text_key, label, score): templates found in ``rows`` of indexed()."""
     spark = rows.sparkSession
     total = rows.select(F.count("*").alias("docs"))
@@ -115,12 +115,8 @@ def matches(rows: DataFrame, rarest: int = 8, agree: float = 0.5) -> DataFrame:
 
     based = [marked(f"p{k}", f"#{p}") for k, p in enumerate(BASE)]
     places = rows.where(F.size(F.concat(*[F.col(f"p{k}") for k in range(len(BASE))])) > 0).select(*key, F.inline(F.concat(*based)))
-    # the rarest words of a row (of the few that are indexed), and with them all their places
-    weighed = flat.join(F.broadcast(idf), "word")
-    top = F.slice(F.array_sort(F.collect_set(F.struct((-F.col("idf")).alias("o"), "word"))), 1, rarest)
-    rare = weighed.groupBy(*key).agg(top.getField("word").alias("words"), F.collect_set(F.struct("pos", "word")).alias("hits"))
-    rare = rare.select(*key, F.inline(F.filter("hits", lambda h: F.array_contains("words", h["word"]))))
-    placed = rare.join(F.broadcast(template), "word").withColumn("begin", F.col("pos") - F.col("tpos"))
+    # all indexed words of a row at all their places: a word has as many postings as the notices hold it
+    placed = flat.distinct().join(F.broadcast(template), "word").withColumn("begin", F.col("pos") - F.col("tpos"))
     votes = placed.groupBy(*key, "template", "label", "begin").agg((F.sum("idf") / F.first("full")).alias("score")).where(F.col("score") >= agree)
     # every required word at its place
     needs = [(t, w, at, len(required(notice, phrase))) for t, (_, notice, phrase) in enumerate(TEMPLATES) for w, at in required(notice, phrase)]
@@ -133,10 +129,10 @@ def matches(rows: DataFrame, rarest: int = 8, agree: float = 0.5) -> DataFrame:
     return found.groupBy("doc_id", "text_key", "label").agg(F.max("score").alias("score"), F.min("begin").alias("begin"))
 
 
-def scan(docs: DataFrame, rarest: int = 8, agree: float = 0.5) -> DataFrame:
+def scan(docs: DataFrame, agree: float = 0.5) -> DataFrame:
     """(doc_id, text_key, n_words, n_base, first_word, last_word, base_labels, labels, score): one row per row of docs."""
     rows = durable(indexed(docs))
-    found = matches(rows, rarest, agree).groupBy("doc_id", "text_key").agg(F.collect_set("label").alias("more"), F.max("score").alias("best"))
+    found = matches(rows, agree).groupBy("doc_id", "text_key").agg(F.collect_set("label").alias("more"), F.max("score").alias("best"))
     found = durable(found.withColumnsRenamed({"doc_id": "_id", "text_key": "_key"}))
     places = F.concat(*[F.col(f"p{k}") for k in range(len(BASE))])
     base = F.filter(F.array(*[F.when(F.size(f"p{k}") > 0, F.lit(label)) for k, label in enumerate(BASE.values())]), lambda x: x.isNotNull())
