@@ -84,5 +84,7 @@ def components(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
         low = durable(stars.groupBy("a").agg(F.min("b").alias("m")))
         moved = stars.join(low, "a").where("b != m").select(F.col("b").alias("a"), F.col("m").alias("b"))
         now = durable(moved.unionByName(low.select("a", F.col("m").alias("b"))).distinct())
+    else:
+        raise RuntimeError(f"components: no two of {most_rounds} rounds agree; the edges are not reduced to stars")
     roots = now.select(F.col("b").alias("node"), F.col("b").alias("root")).distinct()
     return now.select(F.col("a").alias("node"), F.col("b").alias("root")).unionByName(roots)
