@@ -91,8 +91,6 @@ def features(word: str) -> tuple[tuple[str, ...], str]:
         c = "alpha" if len(core) < 25 else "alphalong"
         cue = core.lower() if core.lower() in _CUES else ""
         return (c, "cue=" + cue), "cue=" + cue if cue else c
-    if len(core) > 200:
-        return ("huge",), "huge"
     d = digits_of(core)
     n = len(d)
     size = "0" if n == 0 else "1-2" if n < 3 else "3" if n == 3 else "4" if n == 4 else "5-9" if n < 10 else "10-13" if n < 14 else "14-19" if n < 20 else "20+"
