@@ -119,8 +119,10 @@ def top_k(queries: DataFrame, candidates: DataFrame, k: int = 10, scale: int = 1
     final = merged(merged(part, k, "query_id", "branch"), k, "query_id")
 
     def ranked(batches):
-        for batch in batches:
-            q_, v_, s_ = (batch.column(x).to_numpy() for x in ("query_id", "vec_id", "score"))
+        # batches may cut a query's list in two: a partition, which holds whole lists, is ranked at once
+        parts = [[batch.column(x).to_numpy() for x in ("query_id", "vec_id", "score")] for batch in batches]
+        if parts:
+            q_, v_, s_ = (np.concatenate(x) for x in zip(*parts, strict=True))
             o = best(q_, v_, s_, k)
             g = q_[o]
             first = np.concatenate(([True], g[1:] != g[:-1])) if len(g) else np.zeros(0, bool)
