@@ -11,7 +11,23 @@ from .ship import ship
 #: Bytes up to which a small factor may be held by the driver and broadcast; larger ones stay distributed.
 SMALL_BYTES = 256 << 20
 
-__all__ = ["SMALL_BYTES", "durable", "ship"]
+__all__ = ["SMALL_BYTES", "durable", "shared_folder", "ship"]
+
+
+def shared_folder(spark) -> str:
+    """The folder for intermediate tables: the one that spark.checkpoint.dir names.
+
+    Only a session without other machines may go without one; it gets a temporary folder.
+    """
+    sc = spark.sparkContext
+    named = sc.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None)
+    if named is None:
+        if not sc.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
+        named = tempfile.mkdtemp(prefix="frames-")
+    if sc.getCheckpointDir() is None:
+        sc.setCheckpointDir(named)
+    return named
 
 
 def durable(df: DataFrame) -> DataFrame:
@@ -20,7 +36,5 @@ def durable(df: DataFrame) -> DataFrame:
     Second orthonormalisations need this: two evaluations of an ill-conditioned factor whose batches were cut
     differently differ far above machine precision, so every consumer must read the same copy.
     """
-    sc = df.sparkSession.sparkContext
-    if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="frames-"))
+    shared_folder(df.sparkSession)
     return df.checkpoint(eager=True)
