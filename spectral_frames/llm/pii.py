@@ -68,7 +68,7 @@ def base_spans(text: str) -> list[tuple[int, int, str]]:
     if "@" in text:
         found += [(s, e, "email") for s, e in emails(text)]
     if _IP_HINT.search(text):
-        found += [(*m.span(), "ip") for m in _IP.finditer(text) if all(len(p.lstrip("0")) <= 3 and int(p) <= 255 for p in m[0].split("."))]
+        found += [(*m.span(), "ip") for m in _IP.finditer(text) if all(len(d := p.lstrip("0")) <= 3 and int(d or 0) <= 255 for p in m[0].split("."))]
     if _CARD_HINT.search(text):
         for m in _CARD.finditer(text):
             d = digits_of(m[0]) if m.end() - m.start() < 60 else ""
