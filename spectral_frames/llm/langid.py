@@ -1,15 +1,15 @@
 """Language identification: averaged hashed subword embeddings and a linear softmax.
 
-Training: stochastic gradient descent in numpy on a bounded sample of labelled rows (``per_language`` rows a
-language at most, drawn by a hash of the text so that reruns agree).  Prediction: embeddings and softmax weights
+Training: stochastic gradient descent in numpy on a bounded sample of labelled rows (about ``per_language`` texts a
+language, drawn by a hash of the text so that reruns agree).  Prediction: embeddings and softmax weights
 fold into one table of scores per subword, so a text costs one look-up and one sum per subword, over the whole
 text.  A temperature fitted on a calibration part of the sample makes the largest softmax a probability; texts
 below ``least`` are rejected.
 
 Subwords are runs of 3 and 4 bytes within a word with its two borders; A-Z are folded, other ASCII
 characters than letters are borders, bytes above 0x7F count as letters.  Null text, or none of its characters a
-letter: ``und`` with score 0, rejected.  No labelled rows: every prediction is ``und``.  Repeated rows: each is
-predicted.  Empty table: no rows.
+letter: ``und`` with score 0, rejected.  No labelled rows: every prediction is ``und``.  Equal probabilities: the
+language that comes first by code point.  Repeated rows: each is predicted, alike.  Empty table: no rows.
 """
 
 from __future__ import annotations
@@ -90,8 +90,8 @@ def softmax(z: np.ndarray) -> np.ndarray:
     return e / e.sum(axis=1, keepdims=True)
 
 
-def fit(texts: list[bytes], labels: list[str], width: int = 12, epochs: int = 4, rate: float = 4.0, batch: int = 16, seed: int = 7, least: float = 0.5) -> Model:
-    """Plain SGD on embeddings and softmax weights together; every fifth text is left for the calibration."""
+def fit(texts: list[bytes], labels: list[str], width: int = 12, epochs: int = 4, least_steps: int = 400, rate: float = 4.0, batch: int = 16, seed: int = 7, least: float = 0.5) -> Model:
+    """Plain SGD on embeddings and softmax weights together, ``least_steps`` steps at least; every fifth text is left for the calibration."""
     languages = sorted(set(labels))
     rng = np.random.default_rng(seed)
     if not languages:
@@ -110,7 +110,9 @@ def fit(texts: list[bytes], labels: list[str], width: int = 12, epochs: int = 4,
         bags.append((ids[real], counts[real] / max(1, counts[real].sum())))
     training = [i for i in range(len(texts)) if len(texts) < 20 or i % 5]
     held = [i for i in range(len(texts)) if i % 5 == 0] or training
-    steps, step = max(1, epochs * -(-len(training) // batch)), 0
+    per_epoch = -(-len(training) // batch)
+    epochs = max(epochs, -(-least_steps // per_epoch))
+    steps, step = epochs * per_epoch, 0
     for _ in range(epochs):
         order = rng.permutation(training)
         for lo in range(0, len(order), batch):
@@ -135,15 +137,19 @@ def fit(texts: list[bytes], labels: list[str], width: int = 12, epochs: int = 4,
     return model
 
 
-def train(labelled: DataFrame, per_language: int = 400, **options) -> Model:
-    """Fits on ``labelled(text, lang)``: of each language the rows whose text hash lies below a share that gives about per_language rows."""
-    rows = pick(labelled, "text", "lang").where("text is not null and lang is not null")
-    totals = {r["lang"]: r["n"] for r in rows.groupBy("lang").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "lang").limit(1000).collect()}
+def train(labelled: DataFrame, per_language: int = 400, most_languages: int = 1000, longest: int = 200_000, **options) -> Model:
+    """Fits on a bounded sample of ``labelled(text, lang)``: about ``per_language`` different texts, of at most ``longest`` characters each, of every language.
+
+    The bound of the sample is documented by its parameters: should there be more lang values than ``most_languages``, those with the most
+    different texts (ties: by code point) are learned.  A text is drawn by its hash, so reruns agree, and once, however many copies it has.
+    """
+    rows = pick(labelled, "text", "lang").where("text is not null and lang is not null").where(F.length("text") <= longest).withColumn("h", F.xxhash64("text", F.lit(99)))
+    different = rows.groupBy("lang").agg(F.approx_count_distinct("h", 0.02).alias("n"))
+    totals = {r["lang"]: r["n"] for r in different.orderBy(F.desc("n"), "lang").limit(most_languages).collect()}
     if not totals:
         return fit([], [], **options)
-    share = F.create_map(*[x for lang, n in totals.items() for x in (F.lit(lang), F.lit(per_language / n))])
-    sample = rows.where(F.xxhash64("text", F.lit(99)) / 2.0**64 + 0.5 < share[F.col("lang")])
-    sample = sample.limit(2 * per_language * len(totals)).collect()
+    share = F.create_map(*[x for lang, n in totals.items() for x in (F.lit(lang), F.lit(per_language / max(n, 1)))])
+    sample = rows.where(F.col("h") / 2.0**64 + 0.5 < share[F.col("lang")]).groupBy("lang", "h").agg(F.min("text").alias("text")).collect()
     sample.sort(key=lambda r: (r["text"], r["lang"]))
     order = np.random.default_rng(3).permutation(len(sample))
     return fit([sample[i]["text"].encode() for i in order], [sample[i]["lang"] for i in order], **options)
