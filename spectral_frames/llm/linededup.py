@@ -115,6 +115,8 @@ def dedup(docs: DataFrame, least_chars: int = 40) -> DataFrame:
     plain = docs.toDF(*[f"_c{i}" for i in range(len(names))])
     text = f"_c{names.index('text')}"
     joined = _with_gone(plain, gone, f"_c{names.index('doc_id')}", text)
-    left = F.array_join(F.filter(F.split(text, "\n", -1), lambda s, i: ~F.array_contains("gone", i)), "\n")
+    lines = F.split(text, "\n", -1)
+    stay = F.array_except(F.sequence(F.lit(0), F.size(lines) - 1), "gone")  # by a hash set: linear in the lines
+    left = F.array_join(F.transform(stay, lambda i: F.get(lines, i)), "\n")
     joined = joined.where(F.col("gone").isNull() | left.rlike("[^\\x20\\x09-\\x0D]")).withColumn(text, F.when(F.col("gone").isNull(), F.col(text)).otherwise(left))
     return joined.drop("gone").toDF(*names)

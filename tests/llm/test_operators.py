@@ -211,20 +211,26 @@ def test_quality(spark, texts):
 def test_line_dedup(spark, texts):
     out = by_id(queries.op7_linededup(spark, SF))
     lines = {i: [x.strip(" \t\r\x0b\x0c") for x in t.split("\n")] for i, t in texts.items()}
-    seen_in = collections.Counter(x for v in lines.values() for x in v if x)
-    gone, seen = collections.defaultdict(set), set()
+    places: dict = collections.defaultdict(list)  # of lines with a word: (document, place among those)
+    words = {}
     for i in sorted(lines):
-        v = lines[i]
-        for p in range(len(v)):
-            n, q = 0, p
-            while q < len(v) and v[q] and seen_in[v[q]] > 1 and n < 40:
-                n, q = n + len(v[q]), q + 1
-            if n >= 40:
-                if tuple(v[p:q]) in seen:
-                    gone[i] |= set(range(p, q))
-                seen.add(tuple(v[p:q]))
+        words[i] = [k for k, x in enumerate(lines[i]) if x]
+        for p, k in enumerate(words[i]):
+            places[lines[i][k]].append((i, p))
     for i, r in out.items():
-        assert {x for s in r["removed"].split(",") if s for x in range(int(s.split("-")[0]), int(s.split("-")[1]) + 1)} == gone[i]
+        gone = set()
+        for p, k in enumerate(words[i]):  # the longest run from here that starts earlier
+            best = 0
+            for j, q in places[lines[i][k]]:
+                n = 0
+                if (j, q) < (i, p):
+                    while p + n < len(words[i]) and q + n < len(words[j]) and lines[i][words[i][p + n]] == lines[j][words[j][q + n]]:
+                        n += 1
+                best = max(best, n)
+            if sum(len(lines[i][words[i][p + d]]) for d in range(best)) >= 40:
+                gone |= set(range(p, p + best))
+        rows = {words[i][p] for p in gone} | {k for p in gone if p + 1 in gone for k in range(words[i][p], words[i][p + 1])}
+        assert {x for s in r["removed"].split(",") if s for x in range(int(s.split("-")[0]), int(s.split("-")[1]) + 1)} == rows
 
 
 def test_suffix_dedup(spark, texts):
