@@ -20,6 +20,15 @@ def rows_of(batch: pa.RecordBatch, n: int, column: str = "vec") -> np.ndarray:
     return np.asarray(batch.column(column).flatten(), dtype=np.float64).reshape(-1, n)
 
 
+def sound_rows(batch: pa.RecordBatch, n: int, column: str = "vec") -> np.ndarray | None:
+    """rows_of() where every array is there, n long and without nulls; else None."""
+    col = batch.column(column)
+    if col.null_count or (len(col) and (np.diff(col.offsets.to_numpy()) != n).any()):
+        return None
+    flat = col.flatten()
+    return None if flat.null_count else np.asarray(flat, dtype=np.float64).reshape(-1, n) if n else np.zeros((len(col), 0))
+
+
 def list_array(x: np.ndarray) -> pa.Array:
     """The rows of x as an Arrow column of lists."""
     x = np.ascontiguousarray(x, dtype=np.float64)
@@ -38,6 +47,8 @@ class RowFrame:
     n: int
     m: int | None = None
     names: list[str] = field(default_factory=list)
+    #: Tasks that read it, where they are known.
+    tasks: int | None = None
 
     def __post_init__(self):
         ship(self.df.sparkSession)

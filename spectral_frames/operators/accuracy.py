@@ -10,37 +10,34 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .. import kernels
-from ..matrix import RowFrame
+from ..cost import timed
+from ..matrix import EntryFrame, RowFrame, rows_of
 from ..session import durable
 from . import gram
 from . import reduce as tree
-from .products import Matrix, multiply, multiply_t
+from .products import Matrix, dense, multiply, multiply_t
 from .thin import SVDResult
 
 
-def _residual_by_rows(a: RowFrame, u: RowFrame, w: np.ndarray, iterations: int, seed: int) -> float:
-    """Power method on A - U W with one scan a step: a row gives its part of E*E x by itself."""
-    pairs = durable(a.df.select("row_id", "vec").join(u.df.select("row_id", F.col("vec").alias("u")), "row_id").select("vec", "u"))
-    n, r = a.n, u.n
-    sc = a.df.sparkSession.sparkContext
+def _power_method(spark, pairs: DataFrame, n: int, r: int, image, w: np.ndarray, iterations: int, seed: int) -> float:
+    """Power method on A - U W with one scan a step.  ``image(batch, x, wx, total)`` adds what a batch of (row of A, row of U) gives to E*E x."""
     x = np.random.default_rng(seed).standard_normal(n)
     x /= np.linalg.norm(x)
-    size = 0.0
+    size, tasks = 0.0, pairs.rdd.getNumPartitions()
     for _ in range(iterations):
-        sent = sc.broadcast((x, w @ x))
+        sent = spark.sparkContext.broadcast((x, w @ x))
 
-        def kernel(frames, sent=sent):
+        def kernel(batches, sent=sent):
             from pyspark import TaskContext
 
-            total = np.zeros((1, n + r))
-            for frame in frames:
-                if len(frame):
-                    vec, uu = np.stack(frame["vec"].to_numpy()), np.stack(frame["u"].to_numpy()).reshape(len(frame), r)
-                    y = vec @ sent.value[0] - uu @ sent.value[1]
-                    total += np.concatenate((vec.T @ y, uu.T @ y))[None, :]
-            yield tree.partial_rows(TaskContext.get().partitionId(), total)
+            total = np.zeros(n + r)
+            for batch in batches:
+                if batch.num_rows:
+                    image(batch, *sent.value, total)
+            yield tree.partial_batch(TaskContext.get().partitionId(), total[None, :])
 
-        got = tree.tree_sum(pairs.mapInPandas(kernel, tree.PARTIAL), (1, n + r))[0]
+        got, _ = tree.merged(pairs.mapInArrow(timed(spark, kernel), tree.PARTIAL), lambda xs: np.sum(xs, axis=0), tasks, 8 * (n + r))
+        got = tree.finite(np.zeros((1, n + r)) if got is None else got)[0]
         z = got[:n] - w.T @ got[n:]
         size = float(np.linalg.norm(z))
         if size == 0:
@@ -49,20 +46,51 @@ def _residual_by_rows(a: RowFrame, u: RowFrame, w: np.ndarray, iterations: int,
     return float(np.sqrt(size))
 
 
+def _residual_by_rows(a: RowFrame, u: RowFrame, w: np.ndarray, iterations: int, seed: int) -> float:
+    n, r = a.n, u.n
+    pairs = durable(a.df.select("row_id", "vec").join(u.df.select("row_id", F.col("vec").alias("u")), "row_id").select("vec", "u"))
+
+    def image(batch, x, wx, total):
+        vec, uu = rows_of(batch, n), rows_of(batch, r, "u") if r else np.zeros((batch.num_rows, 0))
+        y = vec @ x - uu @ wx
+        total[:n] += vec.T @ y
+        total[n:] += uu.T @ y
+
+    return _power_method(a.df.sparkSession, pairs, n, r, image, w, iterations, seed)
+
+
+def _residual_by_entries(a: EntryFrame, u: RowFrame, w: np.ndarray, iterations: int, seed: int) -> float:
+    """A row's entries stay entries: written once beside the row of U, they are scanned in each step; nothing is made dense but vectors."""
+    n, r = a.n, u.n
+    sparse = a.df.groupBy("i").agg(F.collect_list(F.struct("j", "v")).alias("e"))
+    pairs = sparse.join(u.df.select(F.col("row_id").alias("i"), F.col("vec").alias("u")), "i", "full")
+    pairs = durable(pairs.select(F.coalesce(F.col("e.j"), F.array().cast("array<bigint>")).alias("j"), F.coalesce(F.col("e.v"), F.array().cast("array<double>")).alias("v"), F.coalesce("u", F.array_repeat(F.lit(0.0), r)).alias("u")))
+
+    def image(batch, x, wx, total):
+        j, v = (batch.column(c).flatten().to_numpy(zero_copy_only=False) for c in ("j", "v"))
+        of = np.repeat(np.arange(batch.num_rows), np.diff(batch.column("j").offsets.to_numpy()))
+        uu = rows_of(batch, r, "u") if r else np.zeros((batch.num_rows, 0))
+        y = np.bincount(of, v * x[j], batch.num_rows) - uu @ wx
+        total[:n] += np.bincount(j, v * y[of], n)
+        total[n:] += uu.T @ y
+
+    return _power_method(a.df.sparkSession, pairs, n, r, image, w, iterations, seed)
+
+
+def _residual(a: Matrix, u: RowFrame, w: np.ndarray, iterations: int, seed: int) -> float:
+    if isinstance(a, RowFrame):
+        return _residual_by_rows(a, u, w, iterations, seed)
+    return _residual_by_entries(a if isinstance(a, EntryFrame) else a.to_entries(), u, w, iterations, seed)
+
+
 def spectral_residual(a: Matrix, result: SVDResult, iterations: int = 20, seed: int = 1) -> float:
     """Spectral norm of A - U diag(sigma) V* by the power method: a lower bound that ``iterations`` steps make close."""
-    rows = a if isinstance(a, RowFrame) else a.to_rows()
-    return _residual_by_rows(rows, result.U, result.sigma[:, None] * result.v_numpy().T, iterations, seed)
+    return _residual(a, result.U, result.sigma[:, None] * result.v_dense(a.n).T, iterations, seed)
 
 
 def range_residual(a: Matrix, q: RowFrame, iterations: int = 20, seed: int = 1) -> float:
     """Spectral norm of A - Q Q* A."""
-    rows = a if isinstance(a, RowFrame) else a.to_rows()
-    b = multiply_t(a, q)
-    w = np.zeros((a.n, q.n))
-    for r in b.df.collect():
-        w[r["row_id"]] = r["vec"]
-    return _residual_by_rows(rows, q, w.T, iterations, seed)
+    return _residual(a, q, dense(multiply_t(a, q), a.n).T, iterations, seed)
 
 
 def gram_defect(u: RowFrame | np.ndarray) -> float:

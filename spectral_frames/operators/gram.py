@@ -15,32 +15,26 @@ CATALYST_WIDTH = 16
 def gram_catalyst(a: RowFrame) -> np.ndarray:
     """n (n + 1) / 2 sums of products in whole-stage code; partial sums before the shuffle."""
     pairs = [(i, j) for i in range(a.n) for j in range(i, a.n)]
-    found = a.df.agg(*[F.sum(F.col("vec")[i] * F.col("vec")[j]).alias(f"s{i}_{j}") for i, j in pairs]).first()
-    out = np.zeros((a.n, a.n))
-    for (i, j), s in zip(pairs, found, strict=True):
-        out[i, j] = out[j, i] = s or 0.0
-    return out
+    bad = F.col("vec").isNull() | (F.size("vec") != a.n) | F.exists("vec", lambda x: x.isNull())
+    found = a.df.agg(*[F.sum(F.get("vec", F.lit(i)) * F.get("vec", F.lit(j))).alias(f"s{i}_{j}") for i, j in pairs], F.count("*").alias("m"), F.sum(bad.cast("int")).alias("bad")).first()
+    a.m = found["m"]
+    out = np.full((a.n, a.n), np.nan if found["bad"] else 0.0)
+    for (i, j), s in zip(pairs, found, strict=False):
+        if not found["bad"]:
+            out[i, j] = out[j, i] = s or 0.0
+    return tree.finite(out)
 
 
 def gram_arrow(a: RowFrame) -> np.ndarray:
     """One n x n partial per task by matrix products on Arrow batches; a tree sums them."""
-    n = a.n
-
-    def kernel(frames):
-        from pyspark import TaskContext
-
-        total = np.zeros((n, n))
-        for frame in frames:
-            if len(frame):
-                x = np.stack(frame["vec"].to_numpy())
-                total += x.T @ x
-        yield tree.partial_rows(TaskContext.get().partitionId(), total)
-
-    return tree.tree_sum(a.df.select("vec").mapInPandas(kernel, tree.PARTIAL), (n, n))
+    return tree.total(a, lambda s, x: s + x.T @ x, (a.n, a.n))
 
 
 def gram_relational(a: EntryFrame):
-    """(i, j, v) of the upper triangle of A*A by a self-join on the row; for sparse matrices of any width."""
+    """(i, j, v) of the upper triangle of A*A by a self-join on the row; for sparse matrices of any width.
+
+    A row of k entries makes k (k + 1) / 2 products, so this is for rows of bounded length; beyond, use gram_arrow().
+    """
     left, right = a.df.alias("l"), a.df.alias("r")
     joined = left.join(right, (F.col("l.i") == F.col("r.i")) & (F.col("l.j") <= F.col("r.j")))
     return joined.groupBy(F.col("l.j").alias("i"), F.col("r.j").alias("j")).agg(F.sum(F.col("l.v") * F.col("r.v")).alias("v"))
@@ -53,18 +47,7 @@ def gram_matrix(a: RowFrame) -> np.ndarray:
 def projected_norms(a: RowFrame, w: np.ndarray) -> np.ndarray:
     """Euclidean norms of the columns of A W, in one scan that keeps nothing of A W."""
     sent = a.df.sparkSession.sparkContext.broadcast(w)
-    n, r = w.shape
-
-    def kernel(frames):
-        from pyspark import TaskContext
-
-        total = np.zeros((1, r))
-        for frame in frames:
-            if len(frame):
-                total += ((np.stack(frame["vec"].to_numpy()) @ sent.value) ** 2).sum(axis=0, keepdims=True)
-        yield tree.partial_rows(TaskContext.get().partitionId(), total)
-
-    return np.sqrt(tree.tree_sum(a.df.select("vec").mapInPandas(kernel, tree.PARTIAL), (1, r))[0])
+    return np.sqrt(tree.total(a, lambda s, x: s + ((x @ sent.value) ** 2).sum(axis=0, keepdims=True), (1, w.shape[1]))[0])
 
 
 def column_norms(a: RowFrame) -> np.ndarray:

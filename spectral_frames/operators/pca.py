@@ -5,6 +5,8 @@ from __future__ import annotations
 from dataclasses import dataclass
 
 import numpy as np
+import pandas as pd
+from pyspark.sql import SparkSession
 
 from ..matrix import RowFrame
 from . import reduce as tree
@@ -17,18 +19,12 @@ def column_sums(a: RowFrame, centre: np.ndarray | None = None) -> tuple[np.ndarr
     n = a.n
     c = np.zeros(n) if centre is None else centre
 
-    def kernel(frames):
-        from pyspark import TaskContext
+    def step(state: np.ndarray, x: np.ndarray) -> np.ndarray:
+        x = x - c
+        return state + np.stack((x.sum(axis=0), (x * x).sum(axis=0)))
 
-        total = np.zeros((3, n))
-        for frame in frames:
-            if len(frame):
-                x = np.stack(frame["vec"].to_numpy()) - c
-                total += np.stack((x.sum(axis=0), (x * x).sum(axis=0), np.full(n, float(len(x)))))
-        yield tree.partial_rows(TaskContext.get().partitionId(), total)
-
-    s = tree.tree_sum(a.df.select("vec").mapInPandas(kernel, tree.PARTIAL), (3, n))
-    return s[0], s[1], int(s[2, 0]) if n else 0
+    s = tree.total(a, step, (2, n))
+    return s[0], s[1], a.m
 
 
 @dataclass
@@ -49,6 +45,17 @@ class PCAResult:
     def scores(self) -> RowFrame:
         return scale_columns(self.svd.U, self.svd.sigma)
 
+    def save(self, path: str) -> None:
+        """The factorisation, and the mean and scale that new rows need."""
+        self.svd.save(path)
+        frame = pd.DataFrame({"j": np.arange(len(self.mean)), "mean": self.mean, "scale": self.scale, "m": self.m})
+        self.svd.spark.createDataFrame(frame, "j long, mean double, scale double, m long").write.parquet(f"{path}/centre")
+
+    @staticmethod
+    def load(spark: SparkSession, path: str) -> PCAResult:
+        centre = spark.read.parquet(f"{path}/centre").toPandas().sort_values("j")  # a row a column
+        return PCAResult(SVDResult.load(spark, path), centre["mean"].to_numpy(), centre["scale"].to_numpy(), int(centre["m"].iloc[0]))
+
     def transform(self, rows: RowFrame) -> RowFrame:
         """Scores of new rows."""
         mean, scale, v = self.mean, self.scale, self.svd.v_numpy()
@@ -64,5 +71,6 @@ def pca(a: RowFrame, k: int | None = None, core: str = "mixed_qr", passes: int =
         _, squares, _ = column_sums(a, mean)
         spread = np.sqrt(squares / max(1, m - 1))
         spread[spread == 0] = 1.0
-    found = thin_svd(apply_rows(a, lambda x: (x - mean) / spread, a.n), core, passes, **options)
+    centred = apply_rows(a, lambda x: (x - mean) / spread, a.n)
+    found = thin_svd(centred, core, passes, **options)
     return PCAResult(found.truncate(k) if k else found, mean, spread, m)

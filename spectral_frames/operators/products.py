@@ -6,7 +6,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import functions as F
 
-from ..matrix import ROW_SCHEMA, EntryFrame, RowFrame, TileFrame, row_batch, rows_of
+from ..matrix import ROW_SCHEMA, EntryFrame, RowFrame, TileFrame, row_batch
 from ..session import SMALL_BYTES
 from . import reduce as tree
 from .thin import times_small
@@ -14,18 +14,38 @@ from .thin import times_small
 Matrix = RowFrame | EntryFrame | TileFrame
 
 
+#: Bytes up to which a factor joins entries by broadcast.
+BROADCAST_BYTES = SMALL_BYTES // 4
+
+
+def dense(q: RowFrame, rows: int) -> np.ndarray:
+    """A factor of checked size in the driver's memory, absent rows zero."""
+    if rows * q.n * 8 > SMALL_BYTES:
+        raise ValueError(f"a factor of {rows * q.n * 8} bytes is too large for the driver")
+    out = np.zeros((rows, q.n))
+    table = q.df.select("row_id", "vec").toArrow()
+    if table.num_rows:
+        out[table.column("row_id").to_numpy()] = np.asarray(table.column("vec").combine_chunks().flatten()).reshape(-1, q.n)
+    return out
+
+
+def from_dense(spark, x: np.ndarray) -> RowFrame:
+    return RowFrame(spark.createDataFrame(pa.Table.from_batches([row_batch(np.arange(len(x)), x)])), x.shape[1], len(x))
+
+
 def multiply(a: Matrix, q: RowFrame) -> RowFrame:
-    """A Q, with q's row_id the columns of A; rows of zeros may be absent."""
+    """A Q, with q's row_id the columns of A; rows of zeros may be absent.
+
+    Entries meet a factor of up to BROADCAST_BYTES where they lie; a larger one by a shuffle, in which adaptive execution splits hot columns.
+    """
     if isinstance(a, RowFrame):
         if a.n * q.n * 8 > SMALL_BYTES:
             return multiply(a.to_entries(), q)
-        dense = np.zeros((a.n, q.n))
-        table = q.df.select("row_id", "vec").toArrow()
-        dense[table.column("row_id").to_numpy()] = np.asarray(table.column("vec").combine_chunks().flatten()).reshape(-1, q.n)
-        return times_small(a, dense)
+        return times_small(a, dense(q, a.n))
     if isinstance(a, TileFrame):
         return _tiles(a, q)
-    joined = a.df.join(q.df.select(F.col("row_id").alias("j"), "vec"), "j")
+    factor = q.df.select(F.col("row_id").alias("j"), "vec")
+    joined = a.df.join(F.broadcast(factor) if a.n * q.n * 8 <= BROADCAST_BYTES else factor, "j")
     sums = joined.groupBy("i").agg(*[F.sum(F.col("v") * F.col("vec")[k]).alias(f"s{k}") for k in range(q.n)])
     return RowFrame(sums.select(F.col("i").alias("row_id"), F.array(*[F.col(f"s{k}") for k in range(q.n)]).alias("vec")), q.n, a.m)
 
@@ -33,26 +53,20 @@ def multiply(a: Matrix, q: RowFrame) -> RowFrame:
 def multiply_t(a: Matrix, q: RowFrame) -> RowFrame:
     """A* Q, with q's row_id the rows of A; the result is by columns of A."""
     if isinstance(a, EntryFrame):
+        a.height()
         return multiply(a.transpose(), q)
     if isinstance(a, TileFrame):
         return _tiles(a, q, turned=True)
-    if a.n * q.n * 8 > SMALL_BYTES:
-        return multiply(a.to_entries().transpose(), q)
     n, r = a.n, q.n
-    joined = a.df.select("row_id", "vec").join(q.df.select("row_id", F.col("vec").alias("q")), "row_id")
-
-    def kernel(frames):
-        from pyspark import TaskContext
+    if n * r * 8 > SMALL_BYTES:
+        return multiply_t(a.to_entries(), q)
+    both = RowFrame(a.df.select("row_id", "vec").join(q.df.select("row_id", F.col("vec").alias("q")), "row_id").select("row_id", F.concat("vec", "q").alias("vec")), n + r)
+    return from_dense(a.df.sparkSession, tree.total(both, lambda s, x: s + x[:, :n].T @ x[:, n:], (n, r)))
 
-        total = np.zeros((n, r))
-        for frame in frames:
-            if len(frame):
-                total += np.stack(frame["vec"].to_numpy()).T @ np.stack(frame["q"].to_numpy())
-        yield tree.partial_rows(TaskContext.get().partitionId(), total)
 
-    found = tree.tree_sum(joined.mapInPandas(kernel, tree.PARTIAL), (n, r))
-    spark = a.df.sparkSession
-    return RowFrame(spark.createDataFrame(pa.Table.from_batches([row_batch(np.arange(n), found)])), r, n)
+def through_rows(a: RowFrame, f, r: int) -> RowFrame:
+    """A* f(A) for a function of blocks of rows with r columns, in one scan: nothing of f(A) is kept, and A is not joined with it."""
+    return from_dense(a.df.sparkSession, tree.total(a, lambda s, x: s + x.T @ f(x), (a.n, r)))
 
 
 def _tiles(a: TileFrame, q: RowFrame, turned: bool = False) -> RowFrame:
@@ -78,8 +92,4 @@ def _tiles(a: TileFrame, q: RowFrame, turned: bool = False) -> RowFrame:
     return RowFrame(sums.select("row_id", F.array(*[F.col(f"s{k}") for k in range(r)]).alias("vec")), r, a.n if turned else a.m)
 
 
-def width_of(a: Matrix) -> int:
-    return a.n
-
-
-__all__ = ["Matrix", "multiply", "multiply_t", "rows_of"]
+__all__ = ["Matrix", "dense", "from_dense", "multiply", "multiply_t", "through_rows"]

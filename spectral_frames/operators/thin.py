@@ -11,11 +11,12 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .. import kernels
-from ..matrix import RowFrame
+from ..matrix import EntryFrame, RowFrame, row_batch
 from ..mixing import MixingPlan
 from ..session import SMALL_BYTES, durable
 from . import gram, tree_qr
@@ -46,6 +47,15 @@ class SVDResult:
     def v_numpy(self) -> np.ndarray:
         return self.V.collect() if isinstance(self.V, RowFrame) else self.V
 
+    def v_dense(self, n: int) -> np.ndarray:
+        """V in memory, n rows; those of columns without entries are zero."""
+        if not isinstance(self.V, RowFrame):
+            return self.V
+        out = np.zeros((n, self.rank))
+        for r in self.V.df.collect():
+            out[r["row_id"]] = r["vec"]
+        return out
+
     def sigma_df(self) -> DataFrame:
         frame = pd.DataFrame({"k": np.arange(1, self.rank + 1, dtype=np.int32), "sigma": self.sigma})
         return self.spark.createDataFrame(frame, "k int, sigma double")
@@ -59,7 +69,7 @@ class SVDResult:
 
     def truncate(self, k: int) -> SVDResult:
         k = min(k, self.rank)
-        cut = RowFrame(self.U.df.select("row_id", F.slice("vec", 1, k).alias("vec")), k, self.U.m)
+        cut = RowFrame(self.U.df.select("row_id", F.slice("vec", 1, k).alias("vec")), k, self.U.m, tasks=self.U.tasks)
         v = RowFrame(self.V.df.select("row_id", F.slice("vec", 1, k).alias("vec")), k, self.V.m) if isinstance(self.V, RowFrame) else self.V[:, :k]
         return SVDResult(cut, self.sigma[:k], v, self.requested, self.working_precision, self.core, self.passes, self.seed, dict(self.stats))
 
@@ -98,12 +108,14 @@ def scale_columns(a: RowFrame, d: np.ndarray) -> RowFrame:
     """A diag(d), in a Catalyst expression for narrow rows."""
     if a.n <= 64:
         factor = F.array(*[F.lit(float(x)) for x in d])
-        return RowFrame(a.df.select("row_id", F.zip_with("vec", factor, lambda x, y: x * y).alias("vec")), a.n, a.m)
+        return RowFrame(a.df.select("row_id", F.zip_with("vec", factor, lambda x, y: x * y).alias("vec")), a.n, a.m, tasks=a.tasks)
     return tree_qr.apply_rows(a, lambda x: x * d, a.n)
 
 
 def stored(a: RowFrame) -> RowFrame:
-    return RowFrame(durable(a.df.select("row_id", "vec")), a.n, a.m)
+    """Written, read from there; how many tasks read it is known."""
+    df = durable(a.df.select("row_id", "vec"))
+    return RowFrame(df, a.n, a.m, tasks=df.rdd.getNumPartitions())
 
 
 def _empty(a: RowFrame, result: dict) -> SVDResult:
@@ -116,23 +128,27 @@ def _finish(u: RowFrame, turn: np.ndarray, sigma: np.ndarray, v: np.ndarray, res
     return SVDResult(times_small(u, turn * sign), sigma, v * sign, stats=stats, **result)
 
 
+def mixed_factor(a: RowFrame, plan: MixingPlan, wp: float, first=lambda x: x):
+    """One pass over the rows ``first`` makes of a's: what turns such a row into one of Q (None at rank zero), and R's kept rows.  ``a.m`` is known afterwards."""
+    before = lambda x: plan.forward(first(x))
+    r = tree_qr.r_factor(a, plan.width, before)
+    keep = kernels.retain_by_diagonal(r, wp)
+    return (tree_qr.substitution(r, keep, before) if len(keep) else None), r[keep]
+
+
 def _mixed_qr(a: RowFrame, passes: int, wp: float, plan: MixingPlan, q_form: str, result: dict) -> SVDResult:
-    width, mix = plan.width, plan.forward
-    direct = q_form == "direct" or q_form == "auto" and passes == 1
-    if direct:
-        q, r1 = tree_qr.q_direct(a, width, mix)
+    if q_form == "direct" or q_form == "auto" and passes == 1:
+        q, r1 = tree_qr.q_direct(a, plan.width, plan.forward)
         keep = kernels.retain_by_diagonal(r1, wp)
         if len(keep) == 0:
             return _empty(a, result)
-        q = tree_qr.apply_rows(q, lambda x, k=keep: x[:, k], len(keep))
+        q, t, scans = tree_qr.apply_rows(q, lambda x, k=keep: x[:, k], len(keep)), r1[keep], 3
     else:
-        r1 = tree_qr.r_factor(a, width, mix)
-        keep = kernels.retain_by_diagonal(r1, wp)
-        if len(keep) == 0:
+        f, t = mixed_factor(a, plan, wp)
+        if f is None:
             return _empty(a, result)
-        q = tree_qr.solved(a, r1, keep, mix)
-    t = r1[keep]
-    scans = 2
+        q, scans = tree_qr.apply_rows(a, f, len(t)), 2
+    kept = len(t)
     if passes == 2:
         q = stored(q)  # both consumers below must read the same copy
         r2 = tree_qr.r_factor(q)
@@ -141,7 +157,7 @@ def _mixed_qr(a: RowFrame, passes: int, wp: float, plan: MixingPlan, q_form: str
         t = r2[keep2] @ t
     u, sigma, v = kernels.exact_svd(t)
     v = plan.inverse(v.T).T
-    return _finish(q, u, sigma, v, result, {"scans": scans, "kept_first": len(keep)})
+    return _finish(q, u, sigma, v, result, {"scans": scans, "kept_first": kept})
 
 
 def _gram(a: RowFrame, passes: int, wp: float, normalise: str, result: dict) -> SVDResult:
@@ -173,22 +189,49 @@ def _gram(a: RowFrame, passes: int, wp: float, normalise: str, result: dict) ->
     return _finish(q, p, sigma, v2, result, {"scans": 3, "kept_first": len(keep)})
 
 
+def _through_transpose(a: RowFrame, options: dict, result: dict) -> SVDResult:
+    """A matrix with fewer rows than columns (so few that the driver knows them): the factors of its transpose, exchanged."""
+    spark = a.df.sparkSession
+    ids = np.sort(a.df.select("row_id").toPandas()["row_id"].to_numpy(np.int64))
+    places = F.broadcast(spark.createDataFrame(pd.DataFrame({"i": ids, "place": np.arange(len(ids))}), "i long, place long"))
+    turned = EntryFrame(a.to_entries().df.join(places, "i").select(F.col("j").alias("i"), F.col("place").alias("j"), "v"), len(ids), a.n).to_rows()
+    found = thin_svd(stored(turned), wide="keep", **options)
+    if not found.rank:
+        return _empty(a, result)
+    v = np.zeros((a.n, found.rank))
+    for r in found.U.df.collect():  # a.n rows, as wide as there are rows in A
+        v[r["row_id"]] = r["vec"]
+    sign = kernels.canonical(v)
+    u = spark.createDataFrame(pa.Table.from_batches([row_batch(ids, found.v_numpy() * sign)]))
+    return SVDResult(RowFrame(u, found.rank, len(ids)), found.sigma, v * sign, stats=found.stats | {"transposed": True}, **result)
+
+
 def thin_svd(
     a: RowFrame, core: str = "mixed_qr", passes: int = 2, working_precision: float = 1e-11, mixing: str = "fourier", rounds: int | str = 2,
-    q_form: str = "auto", normalise: str = "explicit", seed: int = 0, widest: int = 10_000,
+    q_form: str = "auto", normalise: str = "explicit", seed: int = 0, widest: int = 10_000, wide: str = "transpose",
 ) -> SVDResult:
     """SVD of a tall matrix.
 
     ``working_precision`` decides a priori what counts as zero (0: only exact zeros).  ``q_form``: "indirect" substitutes against R, "direct"
     sweeps the tree back down; "auto" is direct for one pass.  ``normalise="eigenvalue"`` is the ablation without measured norms.
+    ``wide``: a matrix with more columns than rows is factored through its transpose, or "raise", or "keep" (factored as it stands).
+    Ragged rows, nulls, NaN and infinities raise ValueError.
     """
-    if core not in ("mixed_qr", "gram") or passes not in (1, 2):
-        raise ValueError("core is mixed_qr or gram, passes 1 or 2")
+    if core not in ("mixed_qr", "gram") or passes not in (1, 2) or wide not in ("transpose", "raise", "keep") or q_form not in ("auto", "direct", "indirect"):
+        raise ValueError("core is mixed_qr or gram, passes 1 or 2, wide one of transpose, raise and keep, q_form one of auto, direct and indirect")
     if not 0 <= working_precision < 1:
         raise ValueError("working_precision lies in [0, 1)")
     if a.n > widest:
         raise ValueError(f"rows of {a.n} are over the driver's limit of {widest}; use low_rank_svd")
     result = {"requested": a.n, "working_precision": working_precision, "core": core, "passes": passes, "seed": seed}
+    if wide != "keep" and (a.df.limit(a.n).count() if a.m is None else a.m) < a.n:
+        a.m = a.df.count()
+        if wide == "raise":
+            raise ValueError(f"a matrix of {a.m} rows and {a.n} columns is not tall")
+        if a.m:
+            a.checked()
+            options = {"core": core, "passes": passes, "working_precision": working_precision, "mixing": mixing, "rounds": rounds, "q_form": q_form, "normalise": normalise, "seed": seed, "widest": widest}
+            return _through_transpose(a, options, result)
     if core == "gram":
         return _gram(a, passes, working_precision, normalise, result)
     return _mixed_qr(a, passes, working_precision, MixingPlan.build(a.n, seed, rounds, mixing), q_form, result)
