@@ -14,6 +14,7 @@ are cut; every other document stays whole.  Empty table: no rows.
 from __future__ import annotations
 
 import os
+import unicodedata
 import zlib
 from array import array
 
@@ -24,37 +25,54 @@ from pyspark.sql import functions as F
 
 from .common import durable, pick
 
-#: Encodings that a worker keeps between batches: of words, and of their letters alone.
-CACHED_WORDS = 900_000
+#: Bytes that a worker may hold of words met before and their ids, by estimate; half of it for the words met of late.
+CACHED_BYTES = 128 << 20
 _cache: dict = {}
 
+# The vocabulary spells a byte that prints as the character of its number, and the others, in order, as those from 256 on.
+_PRINTS = {*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)}
+_SPELLING = dict(zip((b for b in range(256) if b not in _PRINTS), range(256, 512), strict=False))
 
-class _Words(dict):
-    """Ids of words as bytes, made when first asked for.  Letters are encoded once in lower case, as the vocabulary sees them."""
 
-    def __init__(self, tokenizer):
+class Words(dict):
+    """Ids of words as bytes, made when first asked for; letters in lower case, as the vocabulary sees them.
+
+    What was not asked for while words of half of ``most`` bytes came in is forgotten.
+    """
+
+    def __init__(self, tokenizer, most: int | None = None):
         self.tokenizer, self.model = tokenizer, tokenizer.model
-        self.cores: dict[str, bytes] = {}
+        self.most, self.held = most or CACHED_BYTES, 0
+        self.old: dict[str, bytes] = {}
 
     def __missing__(self, word: str) -> bytes:
-        core, tail = (word[:-1], word[-1]) if word[-1:] in (",", ".") and word[:-1].isalpha() else (word, "")
-        core = core if "İ" in core or "Σ" in core else core.lower()
-        ids = self.cores.get(core)
+        ids = self.old.get(word)
         if ids is None:
-            self.cores[core] = ids = self.encode(core)
-        if tail:
-            ids += self.cores.get(tail) or self.tail(tail)
+            ids = self.made(word)
+        self.held += 165 + 2 * len(word) + len(ids)
+        if self.held > self.most // 2:
+            self.old, self.held = dict(self), 0
+            self.clear()
         self[word] = ids
         return ids
 
-    def tail(self, tail: str) -> bytes:
-        self.cores[tail] = ids = self.encode(tail)
-        return ids
-
-    def encode(self, core: str) -> bytes:
-        if core.isascii() and core.isalpha():  # one run of letters that needs no normalising: the merges alone
-            return array("I", [t.id for t in self.model.tokenize(core)]).tobytes()
-        return array("I", self.tokenizer.encode(core, add_special_tokens=False).ids).tobytes()
+    def made(self, word: str) -> bytes:
+        if not word:
+            return b""
+        if word[0] == " ":  # a run of letters as the vocabulary spells it: the merges alone
+            return array("I", [t.id for t in self.model.tokenize(word[1:])]).tobytes()
+        core, tail = (word[:-1], word[-1]) if len(word) > 1 and word[-1] in ",." else (word, "")
+        if core.isascii() and core.isalpha():
+            run = core.lower()
+            if run == word:
+                return array("I", [t.id for t in self.model.tokenize(run)]).tobytes()
+        else:
+            plain = unicodedata.normalize("NFC", core).lower()
+            # letters that become other than letters join with what follows; sigma's lower case depends on its place
+            if "Σ" in core or not plain.isalpha():
+                return array("I", self.tokenizer.encode(word, add_special_tokens=False).ids).tobytes()
+            run = " " + plain.encode().decode("latin-1").translate(_SPELLING)
+        return self[run] + (self[tail] if tail else b"")
 
 
 def encoded(texts: list[str | None], path: str) -> list[bytes]:
@@ -67,14 +85,8 @@ def encoded(texts: list[str | None], path: str) -> list[bytes]:
     from tokenizers import Tokenizer
 
     if path not in _cache:
-        _cache[path] = _Words(Tokenizer.from_file(path))
-    known = _cache[path]
-    if len(known) > CACHED_WORDS:
-        known.clear()
-    if len(known.cores) > CACHED_WORDS:
-        known.cores.clear()
-    known[""] = b""
-    get = known.__getitem__
+        _cache[path] = Words(Tokenizer.from_file(path))
+    get = _cache[path].__getitem__
     return [b"".join(map(get, t.replace("\n", " ").replace("\t", " ").replace("\r", " ").split(" "))) if t else b"" for t in texts]
 
 
