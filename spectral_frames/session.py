@@ -30,11 +30,22 @@ def shared_folder(spark) -> str:
     return named
 
 
+_CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+
 def durable(df: DataFrame) -> DataFrame:
-    """Written to the shared checkpoint folder and read from there.
+    """Written to the shared checkpoint folder and read from there; the shuffle files behind it, needed no more, are deleted once it is written.
 
     Second orthonormalisations need this: two evaluations of an ill-conditioned factor whose batches were cut
     differently differ far above machine precision, so every consumer must read the same copy.
     """
-    shared_folder(df.sparkSession)
-    return df.checkpoint(eager=True)
+    spark = df.sparkSession
+    shared_folder(spark)
+    before = spark.conf.get(_CLEANUP, None)
+    if before is None:
+        return df.checkpoint(eager=True)
+    spark.conf.set(_CLEANUP, "true")  # read when a plan is made
+    try:
+        return df.select("*").checkpoint(eager=True)
+    finally:
+        spark.conf.set(_CLEANUP, before)
