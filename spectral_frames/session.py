@@ -41,8 +41,9 @@ def durable(df: DataFrame) -> DataFrame:
     """
     spark = df.sparkSession
     shared_folder(spark)
-    before = spark.conf.get(_CLEANUP, None)
-    if before is None:
+    try:
+        before = spark.conf.get(_CLEANUP)
+    except Exception:  # a version of Spark without it
         return df.checkpoint(eager=True)
     spark.conf.set(_CLEANUP, "true")  # read when a plan is made
     try:
