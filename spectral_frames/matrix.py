@@ -6,10 +6,10 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .session import ship
+from .session import durable, ship
 
 ROW_SCHEMA = "row_id long, vec array<double>"
 TILE_SCHEMA = "bi int, bj int, nrows int, ncols int, data array<double>"
@@ -73,6 +73,23 @@ class RowFrame:
             raise ValueError("a row is ragged, or holds null, NaN or infinity")
         return RowFrame(df, self.n, None, self.names)
 
+    def columns(self, which: list[int]) -> RowFrame:
+        """The matrix of some columns, in the order given."""
+        if not all(0 <= j < self.n for j in which):
+            raise ValueError(f"columns {which} are not all within 0 and {self.n - 1}")
+        names = [self.names[j] for j in which] if self.names else []
+        picked = F.array(*[F.get("vec", F.lit(j)) for j in which]) if which else F.array().cast("array<double>")
+        return RowFrame(self.df.select("row_id", picked.alias("vec")), len(which), self.m, names, self.tasks)
+
+    def renumbered(self) -> RowFrame:
+        """row_id 0 to m - 1 in the order of the old ones: sorted ranges, each numbered from the rows before it; no single task sees all rows."""
+        placed = durable(self.df.select("row_id", "vec").orderBy("row_id").withColumn("part", F.spark_partition_id()))
+        by = Window.orderBy("part")  # a row a partition
+        starts = placed.groupBy("part").agg(F.count("*").alias("n")).select("part", (F.sum("n").over(by) - F.col("n")).alias("first"))
+        inside = F.row_number().over(Window.partitionBy("part").orderBy("row_id"))
+        numbered = placed.withColumn("k", inside).join(F.broadcast(starts), "part")
+        return RowFrame(numbered.select((F.col("first") + F.col("k") - 1).alias("row_id"), "vec"), self.n, self.m, self.names)
+
     def to_entries(self) -> EntryFrame:
         df = self.df.select(F.col("row_id").alias("i"), F.posexplode("vec").alias("j", "v")).where("v <> 0")
         return EntryFrame(df.select("i", F.col("j").cast("long").alias("j"), "v"), self.n, self.m)

@@ -58,10 +58,17 @@ def one_hot(column: str, values: list[str]) -> list[Column]:
     return [F.when(F.col(column) == v, 1.0).otherwise(0.0) for v in values]
 
 
+def categories(df: DataFrame, column: str, most: int = 10_000) -> list:
+    """All values of a column that are not null, sorted; ValueError if there are more than ``most``, as each becomes a column."""
+    found = sorted(r[0] for r in df.select(column).where(F.col(column).isNotNull()).distinct().limit(most + 1).collect())
+    if len(found) > most:
+        raise ValueError(f"{column} has more than {most} values")
+    return found
+
+
 def order_onehot(spark, d) -> RowFrame:
     orders = table(spark, d, "orders")
-    priorities = sorted(r[0] for r in orders.select("o_orderpriority").distinct().limit(100).collect())
-    statuses = sorted(r[0] for r in orders.select("o_orderstatus").distinct().limit(100).collect())
+    priorities, statuses = categories(orders, "o_orderpriority"), categories(orders, "o_orderstatus")
     return from_columns(orders, one_hot("o_orderpriority", priorities) + one_hot("o_orderstatus", statuses), "o_orderkey")
 
 

@@ -43,10 +43,25 @@ def deduplicated(stream: DataFrame, ts: str, key: str, late: str = "2 hours") ->
 
 
 def run_to_table(stream: DataFrame, name: str, mode: str, checkpoint: str) -> DataFrame:
-    """Runs over all that is there, then stops; the result is an in-memory table."""
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
-    query.awaitTermination()
-    return stream.sparkSession.table(name)
+    """Runs over all that is there, then stops.
+
+    Appended and updated rows are files beside the checkpoint, so a stream of any length leaves the driver alone; only complete
+    results, as small as their groups, are a table in memory.
+    """
+    writer = stream.writeStream.option("checkpointLocation", f"{checkpoint}/state").trigger(availableNow=True)
+    if mode == "complete":
+        writer.format("memory").queryName(name).outputMode(mode).start().awaitTermination()
+        return stream.sparkSession.table(name)
+    top = f"{checkpoint}/rows"
+    if mode == "append":
+        writer.format("parquet").option("path", top).outputMode(mode).start().awaitTermination()
+    else:
+
+        def put(batch: DataFrame, batch_id: int) -> None:  # a batch that is delivered again replaces itself
+            batch.write.mode("overwrite").parquet(f"{top}/batch={batch_id}")
+
+        writer.foreachBatch(put).outputMode(mode).start().awaitTermination()
+    return stream.sparkSession.read.schema(stream.schema).option("recursiveFileLookup", True).parquet(top)
 
 
 class RunningR:
@@ -91,3 +106,10 @@ def running_r_by_key(stream: DataFrame, key: str, array: str, n: int) -> DataFra
     kind = dict(stream.dtypes)[key]
     grouped = stream.select(key, F.col(array).alias("x")).groupBy(key)
     return grouped.applyInPandasWithState(update, f"{key} {kind}, rows long, sigma array<double>", "rows long, data binary", "update", "NoTimeout")
+
+
+def followed(left: DataFrame, right: DataFrame, left_key: str, right_key: str, left_ts: str, right_ts: str, within: str, late: str = "2 hours") -> DataFrame:
+    """Pairs of rows of two streams with equal keys, the right one at most ``within`` after the left; both states are let go by watermarks."""
+    a, b = left.withWatermark(left_ts, late), right.withWatermark(right_ts, late)
+    return a.join(b, (F.col(left_key) == F.col(right_key)) & (F.col(right_ts) >= F.col(left_ts)) & (F.col(right_ts) <= F.col(left_ts) + F.expr(f"INTERVAL {within}")))
+

@@ -6,7 +6,7 @@ depend on signs or on the choice of a basis, rounded far above rounding noise.
 
 from __future__ import annotations
 
-import tempfile
+import uuid
 from collections.abc import Callable
 
 import numpy as np
@@ -19,7 +19,8 @@ from . import kernels, plans, streaming
 from .cost import CostMeter
 from .matrix import EntryFrame, RowFrame
 from .mixing import MixingPlan
-from .operators import accuracy, gram, low_rank, pca, products, stock, thin, tree_qr
+from .operators import accuracy, consumers, gram, low_rank, pca, products, stock, thin, tree_qr
+from .session import shared_folder
 from .sources import synth, tables
 from .sources.tables import table
 
@@ -431,24 +432,20 @@ def outlier_rows(spark, d):
 
 @query()
 def similar_in_latent_space(spark, d):
-    """Cosine neighbours of vector 0 among documents in ten latent dimensions."""
+    """The ten nearest documents by cosine, in ten latent dimensions, of every document whose id is divisible by 20, against all."""
     a = tables.doc_term(spark, d)
     a.df = thin.durable(a.df)
     r = low_rank.low_rank_svd(a, 10, 1)
-    scores = thin.stored(thin.scale_columns(r.U, r.sigma))
-    first = scores.df.orderBy("row_id").limit(1).first()
-    target = F.array(*[F.lit(float(x)) for x in first["vec"]])
-    cosine = fn.vec_dot("vec", target) / (fn.vec_norm("vec") * fn.vec_norm(target))
-    return scores.df.select(F.col("row_id").alias("doc_id"), F.round(cosine, 6).alias("cosine")).orderBy(F.desc("cosine"), "doc_id").limit(10)
+    unit = thin.stored(tree_qr.apply_rows(thin.scale_columns(r.U, r.sigma), lambda x: x / np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-300), r.rank))
+    return consumers.nearest_rows(unit, unit.df.where("row_id % 20 = 0"), 10).withColumnsRenamed({"query_id": "query_doc", "row_id": "doc_id", "score": "cosine"})
 
 
 @query()
 def denoised_top_cells(spark, d):
     a = tables.part_supp(spark, d)
     a.df = thin.durable(a.df)
-    r = low_rank.low_rank_svd(a, min(5, a.n // 2), 2, "gram").reconstruct()
-    cells = r.df.select(F.col("row_id").alias("part"), F.posexplode("vec").alias("supplier", "v"))
-    return cells.orderBy(F.desc("v"), "part", "supplier").limit(20)
+    r = low_rank.low_rank_svd(a, min(5, a.n // 2), 2, "gram")
+    return consumers.largest_cells(r, 20).select(F.col("i").alias("part"), F.col("j").cast("int").alias("supplier"), F.col("value").alias("v"))
 
 
 @query("SELECT true AS agrees")
@@ -723,7 +720,7 @@ def svd_udtf(spark, d):
 
 @query(f"WITH {_E} SELECT label, CAST(round(sum(v * v) * 1000) AS BIGINT) AS trace FROM e JOIN embeddings USING (vec_id) GROUP BY 1")
 def gram_udaf(spark, d):
-    g = table(spark, d, "embeddings").groupBy("label").agg(fn.gram_agg("embedding").alias("g"))
+    g = fn.gram_by_group(table(spark, d, "embeddings"), "label", "embedding").withColumnRenamed("gram", "g")
     at, diagonal = 0, []
     for i in range(64):
         diagonal.append(at)
@@ -743,13 +740,12 @@ def project_udf(spark, d):
 
 
 def _stream(spark, d, files: int = 4) -> DataFrame:
-    top = tempfile.mkdtemp(prefix="frames-")
+    """The events as files in the order of time, read as a stream."""
+    top = f"{shared_folder(spark)}/stream-{uuid.uuid4().hex}"
     events = table(spark, d, "events").withColumn("ts", F.col("ts").cast("timestamp"))
-    if spark.conf.get("spark.checkpoint.dir", None):
-        import uuid
-
-        top = f"{spark.conf.get('spark.checkpoint.dir')}/stream-{uuid.uuid4().hex}"
-    events.orderBy("ts").coalesce(1).write.option("maxRecordsPerFile", -(-events.count() // files)).parquet(f"{top}/in")
+    dealt = thin.durable(events.repartitionByRange(files, "ts").withColumn("part", F.spark_partition_id()))
+    for k in range(files):  # one file after the other, so that the stream meets them in the order of time
+        dealt.where(F.col("part") == k).drop("part").write.mode("append").parquet(f"{top}/in")
     out = streaming.event_stream(spark, f"{top}/in", events.schema)
     out.frames_top = top
     return out
@@ -897,3 +893,6 @@ def flagship(spark, d) -> DataFrame:
     r = thin.thin_svd(tables.emb(spark, d), "mixed_qr", 2)
     share = np.cumsum(r.sigma**2) / (r.sigma**2).sum()
     return frame(spark, "k int, sigma double, share double", [(k + 1, float(s), float(x)) for k, (s, x) in enumerate(zip(r.sigma, share, strict=True))])
+
+
+from . import experiments, relational  # noqa: E402, F401  (they register more queries)

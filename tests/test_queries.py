@@ -9,7 +9,8 @@ import pytest
 from spectral_frames import workloads
 
 SF = "/root/testdata/sf0.001"
-SOME = ["thin_gram_1_power_sums", "thin_mixed_qr_2_two_column", "rank_onehot", "build_cust_part", "gram_relational", "multiply_t_layouts", "stream_gram_daily", "stream_session_moments", "stream_dedup", "svd_udtf", "gram_udaf", "asof_event_feature", "leverage_two_column", "least_squares_price", "geo_low_entries", "stair_sigma"]
+SOME = ["thin_gram_1_power_sums", "thin_mixed_qr_2_two_column", "rank_onehot", "build_cust_part", "gram_relational", "multiply_t_layouts", "stream_gram_daily", "stream_session_moments", "stream_dedup", "svd_udtf", "gram_udaf", "asof_event_feature", "leverage_two_column", "least_squares_price", "geo_low_entries", "stair_sigma",
+        "thin_stair_sigma", "thin_geo_sigma", "svd_as_qr", "rank_at_precision_zero", "serial_low_rank", "pca_power_sum", "pivot_user_type", "matrix_files", "mllib_round_trip", "stream_stream_join", "stream_late_rows", "resumed_stream", "asof_order_feature", "renumbered_rows"]
 
 
 @pytest.mark.parametrize("name", SOME)
