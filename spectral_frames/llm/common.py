@@ -1,14 +1,15 @@
-"""Helpers shared by the operators: column picking, durable intermediate tables, small joins, components."""
+"""Helpers shared by the operators: column picking, joins by small tables and by hot keys, components."""
 
 from __future__ import annotations
 
-import tempfile
 from functools import reduce
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..ship import ship
+from ..session import durable, ship
+
+__all__ = ["SMALL_ROWS", "WORD_CLASS", "components", "documents", "durable", "pick", "same", "small_join", "spread_join"]
 
 #: Rows up to which a table of keys counts as small; larger ones are joined by a shuffle.
 SMALL_ROWS = 20_000
@@ -32,14 +33,6 @@ def documents(spark, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
-def durable(df: DataFrame) -> DataFrame:
-    """Written to the shared checkpoint folder and read from there: lineage is cut and executors may be lost."""
-    sc = df.sparkSession.sparkContext
-    if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="frames-"))
-    return df.checkpoint(eager=True)
-
-
 def same(left: Column, right: Column) -> Column:
     return left.eqNullSafe(right)
 
@@ -61,12 +54,24 @@ def small_join(big: DataFrame, small: DataFrame, on: list[str], how: str = "inne
     return left.join(spread, match, how).drop("_s1", "_s2", *names)
 
 
+def spread_join(big: DataFrame, small: DataFrame, on: str, counts: DataFrame, total: int) -> DataFrame:
+    """``big.join(small, on)`` where some keys may hold much of ``big``; ``small`` has a row a key, ``counts(on, n)`` are big's rows by key.
+
+    Keys that hold over a thousandth of the ``total`` rows (there are fewer than a thousand) meet their row by broadcast; only the others are shuffled.
+    """
+    hot = durable(counts.where(F.col("n") > max(1000, total // 1000)).select(on))
+    if not hot.take(1):
+        return big.join(small, on)
+    few = small.join(F.broadcast(hot), on, "left_semi")
+    return big.join(F.broadcast(few), on).unionByName(big.join(F.broadcast(hot), on, "left_anti").join(small, on))
+
+
 def components(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
     """Connected components of ``edges(a, b)`` (longs) by alternating large-star and small-star rounds.
 
     Returns (node, root) for every node that has an edge, root being the smallest node.  Each round is two
-    group-wise minima and two equi-joins, and is written out; nothing is gathered on the driver but a count
-    and a checksum, equal in two rounds once only stars are left.
+    group-wise minima and two equi-joins that keep hubs divided, and is written out; nothing is gathered on the driver but a count
+    and a checksum, equal in two rounds once only stars are left.  If ``most_rounds`` do not get there, RuntimeError.
     """
     now = durable(edges.where("a != b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct())
     before = None
@@ -77,12 +82,12 @@ def components(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
         before = seen
         # large star: every larger neighbour of a node goes to the least node in its neighbourhood
         both = now.select(F.col("a").alias("u"), F.col("b").alias("v")).unionByName(now.select(F.col("b").alias("u"), F.col("a").alias("v")))
-        least = durable(both.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m")))
-        stars = both.join(least, "u").where("v > u").select(F.col("v").alias("a"), F.col("m").alias("b")).distinct()
-        stars = durable(stars)
+        least = durable(both.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m"), F.count("*").alias("n")))
+        stars = spread_join(both.where("v > u"), least.select("u", "m"), "u", least, 2 * seen["n"])
+        stars = durable(stars.select(F.col("v").alias("a"), F.col("m").alias("b")).distinct())
         # small star: a node and its smaller neighbours go to the least of them
-        low = durable(stars.groupBy("a").agg(F.min("b").alias("m")))
-        moved = stars.join(low, "a").where("b != m").select(F.col("b").alias("a"), F.col("m").alias("b"))
+        low = durable(stars.groupBy("a").agg(F.min("b").alias("m"), F.count("*").alias("n")))
+        moved = spread_join(stars, low.select("a", "m"), "a", low, seen["n"]).where("b != m").select(F.col("b").alias("a"), F.col("m").alias("b"))
         now = durable(moved.unionByName(low.select("a", F.col("m").alias("b"))).distinct())
     else:
         raise RuntimeError(f"components: no two of {most_rounds} rounds agree; the edges are not reduced to stars")

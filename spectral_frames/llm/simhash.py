@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import components, durable, pick
+from .common import components, durable, pick, spread_join
 
 
 def shingle_hashes(text: bytes | None, words: int) -> np.ndarray:
@@ -40,15 +40,59 @@ def shingle_hashes(text: bytes | None, words: int) -> np.ndarray:
     return np.fromiter((digest(line[s:e], 42) for s, e in pairs), np.uint64, len(parts) - words + 1)
 
 
+def majorities(hashes: np.ndarray) -> np.ndarray:
+    """For each column of (n, words) hashes the bits that are set in over half of them."""
+    n, words = hashes.shape
+    total = np.zeros(64 * words, np.int64)
+    for k in range(0, n, 255):  # sums of up to 255 bits in bytes
+        bits = np.unpackbits(np.ascontiguousarray(hashes[k : k + 255], "<u8").view(np.uint8), axis=1, bitorder="little")
+        total += np.add.reduce(bits, axis=0, dtype=np.uint8)
+    return np.packbits((2 * total > n).astype(np.uint8), bitorder="little").view("<u8")
+
+
 def majority(hashes: np.ndarray) -> int:
     """The 64 bits that are set in over half of the hashes."""
-    if not len(hashes):
-        return 0
-    total = np.zeros(64, np.int64)
-    for k in range(0, len(hashes), 4096):
-        bits = np.unpackbits(hashes[k : k + 4096].astype("<u8").view(np.uint8).reshape(-1, 8), axis=1, bitorder="little")
-        total += bits.sum(axis=0, dtype=np.int32)
-    return int(np.packbits((2 * total > len(hashes)).astype(np.uint8), bitorder="little").view("<u8")[0])
+    return int(majorities(hashes[:, None])[0]) if len(hashes) else 0
+
+
+def wide(hashes: np.ndarray, words: int) -> np.ndarray:
+    """A fingerprint of ``words`` times 64 bits: majorities over the hashes and over what further rounds of mixing make of them."""
+    every = hashes[:, None] + (np.arange(words, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15))[None, :]
+    every = (every ^ every >> np.uint64(30)) * np.uint64(0xBF58476D1CE4E5B9)
+    every = (every ^ every >> np.uint64(27)) * np.uint64(0x94D049BB133111EB)
+    every ^= every >> np.uint64(31)
+    return majorities(every) if len(hashes) else np.zeros(words, np.uint64)
+
+
+def within(a: np.ndarray, b: np.ndarray, radius: int) -> np.ndarray:
+    """Which of the pairs (rows of a and of b, some words of 64 bits each) differ in at most ``radius`` bits.
+
+    64 pairs are the lanes of a word; planes of the bits in which they differ go through carry-save counters, and words all of whose
+    lanes are over the radius are abandoned after every 64 planes.
+    """
+    n, words = a.shape
+    if n == 0:
+        return np.zeros(0, bool)
+    x = np.zeros((-(-n // 64) * 64, words), np.uint64)
+    x[:n] = a ^ b
+    bits = np.unpackbits(x.view(np.uint8).reshape(len(x), -1), axis=1, bitorder="little")
+    planes = np.packbits(np.ascontiguousarray(bits.T).reshape(64 * words, -1, 64), axis=2, bitorder="little").view("<u8")[:, :, 0]
+    alive = np.full(planes.shape[1], ~np.uint64(0))
+    at = np.arange(planes.shape[1])
+    counters = [np.zeros(len(at), np.uint64) for _ in range((64 * words).bit_length())]
+    for k in range(64 * words):
+        carry = planes[k, at]
+        for c, held in enumerate(counters):
+            counters[c], carry = held ^ carry, held & carry
+        if k & 63 == 63:
+            over = np.zeros(len(at), np.uint64)
+            equal = ~over
+            for c in reversed(range(len(counters))):  # counters compared with the radius, from the top digit
+                over, equal = (over, equal & counters[c]) if radius >> c & 1 else (over | equal & counters[c], equal & ~counters[c])
+            alive[at] &= ~over
+            stay = alive[at] != 0
+            at, counters = at[stay], [c[stay] for c in counters]
+    return np.unpackbits(alive.view(np.uint8), bitorder="little")[:n].astype(bool)
 
 
 def fingerprints(docs: DataFrame, words: int = 4) -> DataFrame:
@@ -160,6 +204,23 @@ def block_masks(radius: int, n: int) -> list[int]:
     return [sum(c) for c in combinations(blocks, chosen)]
 
 
+def split_buckets(dealt: DataFrame, row: str, tile: int) -> DataFrame:
+    """``dealt(bucket, row, ...)`` with a gid for bucket: any two rows of a bucket share a gid, and none has more than some 2 * tile rows.
+
+    A bucket with more rows is cut into tiles by a hash of ``row``, and every two of its tiles are a group.
+    """
+    hot = dealt.groupBy("bucket").agg(F.count("*").alias("rows")).where(F.col("rows") > 2 * tile)
+    hot = durable(hot.select("bucket", F.ceil(F.col("rows") / tile).cast("int").alias("tiles")))
+    rest = [c for c in dealt.columns if c != "bucket"]
+    if not hot.take(1):
+        return dealt.select(F.col("bucket").alias("gid"), *rest)
+    mine = F.pmod(F.xxhash64(row, F.lit(7)), F.col("tiles")).cast("int")
+    other = F.explode(F.sequence(F.lit(0), F.col("tiles") - 1))
+    tiled = dealt.join(hot, "bucket").select("bucket", *rest, mine.alias("mine"), other.alias("other"))
+    tiled = tiled.select(F.xxhash64("bucket", F.least("mine", "other"), F.greatest("mine", "other")).alias("gid"), *rest)
+    return dealt.join(hot, "bucket", "left_anti").select(F.col("bucket").alias("gid"), *rest).unionByName(tiled)
+
+
 def near_links(nodes: DataFrame, n: int, radius: int = 4, tile: int = 1024) -> DataFrame:
     """(a, b): edges that join all pairs of distinct ``nodes.fp`` within the radius, a forest per bucket.
 
@@ -169,16 +230,7 @@ def near_links(nodes: DataFrame, n: int, radius: int = 4, tile: int = 1024) -> D
     signed = [m - (1 << 64) if m >> 63 else m for m in masks]
     keys = F.array(*[F.xxhash64(F.lit(i), F.col("fp").bitwiseAND(F.lit(m))) for i, m in enumerate(signed)])
     dealt = nodes.select("fp", F.explode(keys).alias("bucket"))
-    hot = durable(dealt.groupBy("bucket").agg(F.count("*").alias("rows")).where(F.col("rows") > 2 * tile)
-                  .select("bucket", F.ceil(F.col("rows") / tile).cast("int").alias("tiles")))
-    plain = dealt.join(hot, "bucket", "left_anti").select(F.col("bucket").alias("gid"), "fp")
-    mine = F.pmod(F.xxhash64("fp", F.lit(7)), F.col("tiles")).cast("int")
-    other = F.explode(F.sequence(F.lit(0), F.col("tiles") - 1))
-    tiled = (
-        dealt.join(hot, "bucket").select("bucket", "fp", mine.alias("mine"), other.alias("other"))
-        .select(F.xxhash64("bucket", F.least("mine", "other"), F.greatest("mine", "other")).alias("gid"), "fp")
-    )
-    groups = plain.unionByName(tiled) if hot.count() else dealt.select(F.col("bucket").alias("gid"), "fp")
+    groups = split_buckets(dealt, "fp", tile)
     groups = groups.repartition("gid").sortWithinPartitions("gid")
 
     def kernel(batches):
@@ -204,17 +256,26 @@ def near_links(nodes: DataFrame, n: int, radius: int = 4, tile: int = 1024) -> D
 def near_components(docs: DataFrame, words: int = 4, radius: int = 4, tile: int = 1024) -> DataFrame:
     """(doc_id, text_key, fp, root, component_id): root is a fingerprint of the component, component_id its smallest doc_id."""
     rows = durable(fingerprints(docs, words))
-    nodes = durable(rows.groupBy("fp").agg(F.min("doc_id").alias("low")))
-    links = near_links(nodes.select("fp"), nodes.count(), radius, tile)
+    nodes = durable(rows.groupBy("fp").agg(F.min("doc_id").alias("low"), F.count("*").alias("n")))
+    total = nodes.agg(F.count("*").alias("fps"), F.coalesce(F.sum("n"), F.lit(0)).alias("rows")).first()
+    links = near_links(nodes.select("fp"), total["fps"], radius, tile)
     found = durable(components(links))
     named = durable(nodes.join(found.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "low", F.coalesce("root", "fp").alias("root")))
-    least = named.groupBy("root").agg(F.min("low").alias("component_id"))
-    named = durable(named.join(least, "root").select("fp", "root", "component_id"))
-    return rows.join(named, "fp")
+    least = durable(named.groupBy("root").agg(F.min("low").alias("component_id"), F.count("*").alias("n")))
+    named = durable(spread_join(named, least.select("root", "component_id"), "root", least, total["fps"]).select("fp", "root", "component_id"))
+    return spread_join(rows, named, "fp", nodes.select("fp", "n"), total["rows"])
+
 
+def near_dedup(docs: DataFrame, words: int = 5, radius: int = 4, tile: int = 1024, similarity: float | None = None) -> DataFrame:
+    """docs without near copies: of each component the row with the smallest doc_id stays (nulls last), all columns kept.
+
+    Linked are fingerprints within ``radius`` or, if a ``similarity`` is given, texts whose shingle sets have that Jaccard
+    similarity or more: such texts' 64 bits differ too much to be found by blocks of equal bits, see ``neardup``.
+    """
+    if similarity is not None:
+        from . import neardup
 
-def near_dedup(docs: DataFrame, words: int = 5, radius: int = 4, tile: int = 1024) -> DataFrame:
-    """docs without near copies: of each component the row with the smallest doc_id stays (nulls last), all columns kept."""
+        return neardup.near_dedup(docs, words, similarity)
     rows = durable(near_components(docs, words, radius, tile).select("doc_id", "text_key", "root", "component_id"))
     kept = rows.where(F.col("doc_id").eqNullSafe(F.col("component_id")))
     one = durable(kept.groupBy("root").agg(F.min(F.struct("doc_id", "text_key")).alias("r"), F.count("*").alias("n")))

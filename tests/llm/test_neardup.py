@@ -89,15 +89,28 @@ def test_prefixes_of_similar_sets_meet(n):
             assert len(np.intersect1d(neardup.prefix(a, a[:3], s), neardup.prefix(b, a[:3], s)))
 
 
-def test_bitmaps_rule_no_similar_pair_out():
+def test_fingerprints_rule_no_similar_pair_out():
     from fractions import Fraction
 
     rng, s, out = np.random.default_rng(0), Fraction(4, 5), 0
-    for _ in range(300):
+    for _ in range(2000):
         n, m, both = (int(x) for x in rng.integers(1, 400, 3))
+        both = both if both > 20 else both % 5 + 1
         pool = np.unique(rng.integers(0, 2**63, n + m + both).astype(np.uint64))
         a, b = np.sort(pool[: both + n // 8]), np.sort(np.concatenate((pool[:both], pool[both + n // 8 :][: m // 8])))
-        may = neardup.may_be_similar(neardup.bitmap(a), neardup.bitmap(b), s)
+        may = neardup.may_be_similar([neardup.fingerprint(a)], [neardup.fingerprint(b)], s)[0]
         out += not may
         assert may or not neardup.similar(a, b, s)
     assert out > 20
+
+
+@pytest.mark.parametrize("radius", [0, 3, 96, 200])
+def test_bit_slices_count_as_popcounts_do(radius):
+    from spectral_frames.llm import simhash
+
+    rng = np.random.default_rng(radius)
+    a = rng.integers(0, 2**64, (300, 4), np.uint64)
+    b = a ^ (rng.integers(0, 2**64, (300, 4), np.uint64) & rng.integers(0, 2**64, (300, 4), np.uint64) * np.uint64(radius > 3))
+    b[::3] = a[::3] ^ np.uint64(5)
+    assert np.array_equal(simhash.within(a, b, radius), np.bitwise_count(a ^ b).sum(axis=1) <= radius)
+    assert len(simhash.within(a[:0], b[:0], radius)) == 0
