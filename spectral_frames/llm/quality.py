@@ -4,12 +4,14 @@ One scan of whole texts counts words, symbols, repeated lines and repeated three
 a vector per document; every (language, source) gets a minimum-covariance-determinant estimate and documents at a
 large Mahalanobis distance are rejected.  The estimates are found by concentration steps over all rows: a step
 sums moments by group and by narrow bins of squared distance (pre-aggregated on the map side), takes the bins in
-rising order until they hold ``share`` of the group, and re-estimates from those; two starts compete
-by determinant.  A group with fewer rows than ``least_rows`` uses its language's estimate, or else that of all rows.
+rising order until they hold ``share`` of the group, and re-estimates from those, until determinants settle; two starts compete
+by determinant.  Every estimate then shrinks towards that of its language, and a language's towards that of all, as though ``prior``
+rows of the parent were in the group: the smaller a group, the more it follows its parent, at every size by one rule.  A language has
+its own robust estimate over all its rows; that of all pools the rows that the languages' estimates rest on.
 
 Variances have floors, so that a statistic that is constant in most of a group doesn't reject all others.
 Null or empty text: no words, base_failed.  Null language or source: a group like any other.  Repeated rows: each is
-judged.  Empty table: no rows.
+judged, alike.  Empty table: no rows.
 """
 
 from __future__ import annotations
@@ -22,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import durable, pick, same, small_join
+from .common import durable, pick, small_join
 
 #: Statistics of the vector, and the least standard deviation of each: it holds only where the data vary less.
 STATISTICS = {"length": 0.25, "word_length": 0.06, "symbols": 0.03, "dup_lines": 0.2, "repeats": 0.2, "line_length": 0.25}
@@ -98,23 +100,29 @@ def distance(mean: str = "mean", inverse: str = "inverse"):
     return reduce(lambda a, b: a + b, terms)
 
 
-def level_key(level: int):
-    """A group's name at level 0 (language and source), 1 (language) or 2 (all)."""
-    shown = [F.coalesce(F.concat(F.lit("="), F.col(c).cast("string")), F.lit("?")) for c in ("lang", "source")[: 2 - level]]
-    return F.concat_ws("\x1f", F.lit(str(level)), *shown)
+def group_key(*columns: str):
+    """The name of a row's group by these columns, nulls told apart from texts."""
+    shown = [F.coalesce(F.concat(F.lit("="), F.col(c).cast("string")), F.lit("?")) for c in columns]
+    return F.concat_ws("\x1f", F.lit(str(len(columns))), *shown)
 
 
 def _tri(m: np.ndarray) -> list[float]:
     return m[np.tril_indices(P)].tolist()
 
 
-def _packed(group, start, n, mean, cov, scale=1.0) -> dict:
+def _inverse(cov: np.ndarray) -> tuple[list[float], float]:
     cov = (cov + cov.T) / 2
     cov = cov + np.diag(np.maximum(FLOOR**2 - np.diag(cov), 1e-8))
-    return {"grp": group, "start": start, "n": int(n), "mean": mean.tolist(), "inverse": _tri(np.linalg.inv(cov)), "logdet": float(np.linalg.slogdet(cov)[1]), "scale": float(scale)}
+    return _tri(np.linalg.inv(cov)), float(np.linalg.slogdet(cov)[1])
 
 
-_ESTIMATE = "grp string, start int, n long, mean array<double>, inverse array<double>, logdet double, scale double"
+def _packed(group, start, n, mean, cov, held=0, s1=(), s2=(), scale=1.0) -> dict:
+    inverse, logdet = _inverse(cov)
+    return {"grp": group, "start": start, "n": int(n), "mean": mean.tolist(), "inverse": inverse, "logdet": logdet, "held": int(held), "s1": list(s1), "s2": list(s2), "scale": float(scale)}
+
+
+#: held, s1, s2: how many rows the estimate rests on, and their sums and sums of products.
+_ESTIMATE = "grp string, start int, n long, mean array<double>, inverse array<double>, logdet double, held long, s1 array<double>, s2 array<double>, scale double"
 
 
 def _moments() -> list:
@@ -130,10 +138,9 @@ def _estimate(n: float, s1: np.ndarray, s2: np.ndarray) -> tuple[np.ndarray, np.
     return mean, full / n - np.outer(mean, mean)
 
 
-def estimates(rows: DataFrame, share: float = 0.75, steps: int = 4) -> DataFrame:
-    """(grp, n, mean, inverse, scale): the estimate of each group of ``rows(lang, source, statistics)`` at each level."""
-    keyed = rows.select(F.explode(F.array(*[level_key(k) for k in range(3)])).alias("grp"), *NAMES)
-    groups = keyed.groupBy("grp")
+def estimates(rows: DataFrame, share: float = 0.75, most_steps: int = 8, settled: float = 1e-3) -> DataFrame:
+    """(grp, n, held, s1, s2, scale): what the estimate of each group of ``rows(grp, statistics)`` rests on."""
+    groups = rows.groupBy("grp")
 
     def first(frame: pd.DataFrame) -> pd.DataFrame:
         out = []
@@ -154,35 +161,59 @@ def estimates(rows: DataFrame, share: float = 0.75, steps: int = 4) -> DataFrame
         total = frame.n.sum()
         upto = frame.n.cumsum().to_numpy()
         take = frame.iloc[: int(np.searchsorted(upto, share * total)) + 1]
-        mean, cov = _estimate(take.n.sum(), np.sum(take.s1.tolist(), axis=0), np.sum(take.s2.tolist(), axis=0))
+        held, s1, s2 = take.n.sum(), np.sum(take.s1.tolist(), axis=0), np.sum(take.s2.tolist(), axis=0)
+        mean, cov = _estimate(held, s1, s2)
         middle = float(frame.bin.iloc[int(np.searchsorted(upto, total / 2))])
-        made = _packed(frame.grp.iloc[0], int(frame.start.iloc[0]), total, mean, cov, max(1.0, 2 ** ((middle + 1) / BINS) / CHI2_MEDIAN))
-        return pd.DataFrame([made])
+        return pd.DataFrame([_packed(frame.grp.iloc[0], int(frame.start.iloc[0]), total, mean, cov, held, s1, s2, max(1.0, 2 ** ((middle + 1) / BINS) / CHI2_MEDIAN))])
 
-    for _ in range(steps):
-        at = small_join(keyed, now.select(F.col("grp").alias("g"), "start", "mean", "inverse").withColumnRenamed("g", "grp"), ["grp"], rows=n)
+    before = None
+    for _ in range(most_steps):
+        at = small_join(rows, now.select("grp", "start", "mean", "inverse"), ["grp"], rows=n)
         binned = at.withColumn("bin", F.floor(F.log2(F.greatest(distance(), F.lit(2.0**-20))) * BINS).cast("int"))
         sums = binned.groupBy("grp", "start", "bin").agg(*_moments())
         now = durable(sums.groupBy("grp", "start").applyInPandas(step, _ESTIMATE))
-    chosen = now.groupBy("grp").agg(F.min_by(F.struct("n", "mean", "inverse", "scale"), F.struct("logdet", "start")).alias("e"))
+        level = now.agg(F.avg("logdet")).first()[0]
+        if level is None or before is not None and abs(level - before) < settled:
+            break
+        before = level
+    chosen = now.groupBy("grp").agg(F.min_by(F.struct("n", "held", "s1", "s2", "scale"), F.struct("logdet", "start")).alias("e"))
     return durable(chosen.select("grp", "e.*"))
 
 
-def judged(docs: DataFrame, cutoff: float = 27.86, least_rows: int = 60, share: float = 0.75) -> DataFrame:
+def shrunk(made: DataFrame, groups: DataFrame, prior: float) -> DataFrame:
+    """(grp, mean, inverse, scale): the estimates of ``groups(grp, of)``, each drawn towards that of its language ``of`` by ``prior`` rows, as that is towards all."""
+
+    own = groups.join(made, "grp")
+    langs = durable(groups.select("of").distinct().join(made.withColumnRenamed("grp", "of"), "of"))
+    sums = [F.array(*[F.sum(F.col(c)[i]) for i in range(k)]).alias(f"a{c}") for c, k in (("s1", P), ("s2", P * (P + 1) // 2))]
+    every = langs.agg(F.sum("held").alias("an"), *sums, (F.sum(F.col("scale") * F.col("held")) / F.sum("held")).alias("ascale"))
+    renamed = langs.select("of", *[F.col(c).alias(f"l{n}") for c, n in (("held", "n"), ("s1", "s1"), ("s2", "s2"), ("scale", "scale"))])
+    both = small_join(own, renamed, ["of"]).crossJoin(F.broadcast(every))  # one row
+
+    def blend(frames):
+        for frame in frames:
+            out = []
+            for r in frame.itertuples():
+                n, s1, s2, scale = float(r.an), np.array(r.as1), np.array(r.as2), r.ascale
+                for m, t1, t2, own_scale in ((float(r.ln), np.array(r.ls1), np.array(r.ls2), r.lscale), (float(r.held), np.array(r.s1), np.array(r.s2), r.scale)):
+                    s1, s2, scale, n = t1 + s1 / n * prior, t2 + s2 / n * prior, (m * own_scale + prior * scale) / (m + prior), m + prior
+                mean, cov = _estimate(n, s1, s2)
+                out.append((r.grp, mean.tolist(), _inverse(cov)[0], float(scale)))
+            yield pd.DataFrame(out, columns=["grp", "mean", "inverse", "scale"])
+
+    columns = ["grp", "held", "s1", "s2", "scale", *[f"{of}{c}" for of in "la" for c in ("n", "s1", "s2", "scale")]]
+    return durable(both.select(*columns).mapInPandas(blend, "grp string, mean array<double>, inverse array<double>, scale double"))
+
+
+def judged(docs: DataFrame, cutoff: float = 27.86, prior: float = 60.0, share: float = 0.75) -> DataFrame:
     """(doc_id, text_key, counts, base_failed, kept, distance): distance is squared and scaled to its group's median.
 
     ``cutoff`` is a squared distance: under normality one row in 10,000 lies beyond the default.
     """
-    rows = durable(statistics(docs))
-    made = estimates(rows, share)
-    n = made.count()
-    groups = rows.select("lang", "source").distinct()
-    for k in range(3):
-        level = made.select(F.col("grp").alias(f"g{k}"), F.struct("n", "mean", "inverse", "scale").alias(f"e{k}"))
-        groups = groups.join(level, same(level_key(k), F.col(f"g{k}")), "left").drop(f"g{k}")
-    enough = [F.when(F.col(f"e{k}.n") >= least_rows, F.col(f"e{k}")) for k in range(2)]
-    groups = durable(groups.select("lang", "source", F.coalesce(*enough, F.col("e2")).alias("e")).select("lang", "source", "e.mean", "e.inverse", "e.scale"))
-    at = small_join(rows, groups, ["lang", "source"], "left", rows=n)
+    rows = durable(statistics(docs).withColumns({"grp": group_key("lang", "source"), "of": group_key("lang")}))
+    made = estimates(rows.select(F.explode(F.array("grp", "of")).alias("grp"), *NAMES), share)
+    final = shrunk(made, rows.select("grp", "of").distinct(), prior)
+    at = small_join(rows, final, ["grp"])
     failed = (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))
     out = at.select("doc_id", "text_key", *_COUNTS, failed.alias("base_failed"), (distance() / F.col("scale")).alias("distance"))
     return out.withColumn("kept", ~F.col("base_failed") & (F.col("distance") <= cutoff))
