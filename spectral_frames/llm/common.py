@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import ctypes
+import gc
 from functools import reduce
 
 from pyspark.sql import Column, DataFrame
@@ -9,7 +11,7 @@ from pyspark.sql import functions as F
 
 from ..session import durable, ship
 
-__all__ = ["SMALL_ROWS", "WORD_CLASS", "components", "documents", "durable", "pick", "same", "small_join", "spread_join"]
+__all__ = ["SMALL_ROWS", "WORD_CLASS", "components", "documents", "durable", "pick", "same", "small_join", "spread_join", "worker_cache"]
 
 #: Rows up to which a table of keys counts as small; larger ones are joined by a shuffle.
 SMALL_ROWS = 20_000
@@ -29,6 +31,22 @@ def pick(df: DataFrame, *names: str) -> DataFrame:
     return plain.select(*[F.col(f"_c{columns.index(n)}").alias(n) for n in names])
 
 
+_caches: dict[str, dict] = {}
+
+
+def worker_cache(owner: str = "") -> dict:
+    """What an operator keeps in a Python worker between batches; others' caches in this worker, which later stages use again, are let go."""
+    full = [k for k, c in _caches.items() if c and k != owner]
+    for k in full:
+        _caches[k].clear()
+    if full:
+        gc.collect()
+        trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+        if trim:
+            trim(0)
+    return _caches.setdefault(owner, {})
+
+
 def documents(spark, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 

@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..ship import ship
-from .common import pick
+from .common import pick, worker_cache
 
 BITS = 15
 _FOLD = bytes(b if b >= 128 or chr(b).islower() else b + 32 if chr(b).isupper() else 32 for b in range(256))
@@ -160,6 +160,7 @@ def predict(docs: DataFrame, model: Model) -> DataFrame:
     sent = docs.sparkSession.sparkContext.broadcast(model)  # 2**BITS rows, whatever the input
 
     def kernel(batches):
+        worker_cache()
         m = sent.value
         for batch in batches:
             texts = batch.column("text").to_pylist()
@@ -187,6 +188,7 @@ def keep_identified(docs: DataFrame, model: Model) -> DataFrame:
     at = names.index("text")
 
     def kernel(batches):
+        worker_cache()
         m = sent.value
         for batch in batches:
             texts = batch.column(at).to_pylist()

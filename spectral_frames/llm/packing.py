@@ -23,11 +23,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import durable, pick
+from .common import durable, pick, worker_cache
 
 #: Bytes that a worker may hold of words met before and their ids, by estimate; half of it for the words met of late.
-CACHED_BYTES = 128 << 20
-_cache: dict = {}
+CACHED_BYTES = 112 << 20
 
 # The vocabulary spells a byte that prints as the character of its number, and the others, in order, as those from 256 on.
 _PRINTS = {*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)}
@@ -84,9 +83,10 @@ def encoded(texts: list[str | None], path: str) -> list[bytes]:
     os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
     from tokenizers import Tokenizer
 
-    if path not in _cache:
-        _cache[path] = Words(Tokenizer.from_file(path))
-    get = _cache[path].__getitem__
+    cache = worker_cache("packing")
+    if path not in cache:
+        cache[path] = Words(Tokenizer.from_file(path))
+    get = cache[path].__getitem__
     return [b"".join(map(get, t.replace("\n", " ").replace("\t", " ").replace("\r", " ").split(" "))) if t else b"" for t in texts]
 
 

@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import components, durable, pick, spread_join
+from .common import components, durable, pick, spread_join, worker_cache
 
 
 def shingle_hashes(text: bytes | None, words: int) -> np.ndarray:
@@ -99,6 +99,7 @@ def fingerprints(docs: DataFrame, words: int = 4) -> DataFrame:
     """(doc_id, text_key, fp): one row per row of docs; text_key is a hash of the text that tells rows of one id apart."""
 
     def kernel(batches):
+        worker_cache()
         for batch in batches:
             texts = batch.column("text")
             values = np.fromiter((majority(shingle_hashes(t.as_py(), words)) for t in texts), np.uint64, len(texts))

@@ -48,7 +48,7 @@ def test_random_unicode_is_encoded_as_the_tokenizer_does():
     pool = "aZéÉßİıΣσςÅKक़़שׁ́,,..!? 1²Ⅷ日本ﬁǅñ́̇‍﻿\xad 's\n\t\r\x0b\x0c\x1c\x85\xa0 _-"
     blocks = [(32, 126), (160, 0x24F), (0x370, 0x52F), (0x900, 0xFFF), (0x1E00, 0x1FFF), (0x20, 0xD7FF)]
     texts = ["".join(rng.choice(pool) if rng.random() < 0.6 else chr(rng.randint(*rng.choice(blocks))) for _ in range(rng.randint(0, 14))) for _ in range(4000)]
-    packing._cache.clear()
+    common.worker_cache()
     ids = [np.frombuffer(b, "<u4").tolist() for b in packing.encoded(texts + ["İ,", "क़."], path)]
     assert ids == [e.ids for e in Tokenizer.from_file(path).encode_batch(texts + ["İ,", "क़."], add_special_tokens=False)]
 
