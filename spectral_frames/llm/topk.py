@@ -28,6 +28,14 @@ def whole_vectors(table: DataFrame, id_col: str, vec_col: str, scale: int) -> Da
     return v.select("vec_id", F.transform("v", lambda x: scaled(x * float(scale))).alias("v"))
 
 
+#: Tiles of a group: what a task's join holds of one side, some 16 MB at 64 components.
+GROUP_TILES = 16
+
+
+def cores_of(df: DataFrame) -> int:
+    return df.sparkSession.sparkContext.defaultParallelism
+
+
 def packed(vectors: DataFrame, rows: int) -> DataFrame:
     """Tiles of up to ``rows`` vectors of one width: (width int, n int, ids binary, data binary)."""
 
@@ -89,9 +97,15 @@ def merged(lists: DataFrame, k: int, *keys: str) -> DataFrame:
 
 def top_k(queries: DataFrame, candidates: DataFrame, k: int = 10, scale: int = 1024, id_col: str = "vec_id", vec_col: str = "embedding", tile: int = 2048, skip_self: bool = True) -> DataFrame:
     """(query_id, rank, vec_id, score): the k candidates with the largest scores of each query, all if fewer."""
-    q = durable(packed(whole_vectors(queries, id_col, vec_col, scale), tile)).withColumnsRenamed({"ids": "q_ids", "data": "q_data", "n": "q_n"})
+    few = whole_vectors(queries, id_col, vec_col, scale)
+    few = few.repartition(max(1, -(-few.count() // tile)))  # full tiles: each is multiplied with every candidate
+    q = durable(packed(few, tile)).withColumnsRenamed({"ids": "q_ids", "data": "q_data", "n": "q_n"})
     c = durable(packed(whole_vectors(candidates, id_col, vec_col, scale), tile))
-    groups_q, groups_c = -(-q.count() // 4) or 1, -(-c.count() // 4) or 1
+    # a vector is sent to every group of the other side: groups as large as a task may hold, but enough for all cores
+    cores = cores_of(queries)
+    groups_q = max(1, -(-q.count() // GROUP_TILES))
+    tiles_c = c.count()
+    groups_c = max(1, -(-tiles_c // GROUP_TILES), min(tiles_c, -(-2 * cores // groups_q)))
     deal = lambda n, ids: F.pmod(F.xxhash64(ids), F.lit(n)).cast("int")
     left = q.select("*", deal(groups_q, "q_ids").alias("gq"), F.explode(F.sequence(F.lit(0), F.lit(groups_c - 1))).alias("gc"))
     right = c.select("*", deal(groups_c, "ids").alias("gc"), F.explode(F.sequence(F.lit(0), F.lit(groups_q - 1))).alias("gq"))
