@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..ship import ship
-from .common import pick, worker_cache
+from .common import let_go, pick, worker_cache
 
 BITS = 15
 _FOLD = bytes(b if b >= 128 or chr(b).islower() else b + 32 if chr(b).isupper() else 32 for b in range(256))
@@ -190,13 +190,16 @@ def keep_identified(docs: DataFrame, model: Model) -> DataFrame:
     def kernel(batches):
         worker_cache()
         m = sent.value
-        for batch in batches:
-            texts = batch.column(at).to_pylist()
-            rows = [i for i, t in enumerate(texts) if has_letter(t)] if m.languages else []
-            keep = np.zeros(len(texts), bool)
-            if rows:
-                keep[rows] = m.probabilities([texts[i].encode() for i in rows]).max(axis=1) >= m.least
-            yield batch.filter(pa.array(keep))
+        for whole in batches:
+            for lo in range(0, whole.num_rows, 1024):  # texts that a worker holds at once
+                batch = whole.slice(lo, 1024)
+                texts = batch.column(at).to_pylist()
+                rows = [i for i, t in enumerate(texts) if has_letter(t)] if m.languages else []
+                keep = np.zeros(len(texts), bool)
+                if rows:
+                    keep[rows] = m.probabilities([texts[i].encode() for i in rows]).max(axis=1) >= m.least
+                yield batch.filter(pa.array(keep))
+        let_go()
 
     plain = docs.toDF(*[f"_c{i}" for i in range(len(names))])
     return plain.mapInArrow(kernel, plain.schema).toDF(*names)

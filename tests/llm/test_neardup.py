@@ -138,3 +138,37 @@ def test_common_shingles_are_those_of_a_share_of_all_pairs(spark, most):
 
 def test_no_rows_have_no_common_shingles(spark):
     assert len(neardup.common_shingles(spark.createDataFrame([], "doc_id long, text string"), 5)) == 0
+
+
+def shuffled(spark):
+    """Bytes that the stages of the session have shuffled so far."""
+    sc = spark.sparkContext
+    stages = sc._jsc.sc().statusStore().stageList(None, False, False, sc._gateway.new_array(sc._jvm.double, 0), sc._jvm.java.util.ArrayList())
+    return sum(stages.apply(i).shuffleWriteBytes() for i in range(stages.size()))
+
+
+def test_counting_sends_less_than_a_shingle_each(spark):
+    """The pipeline's near dedup was stopped at 3000 MB of an executor: counting sent all shingles, 12 bytes each, through a shuffle."""
+    rng = np.random.default_rng(5)
+    texts = [" ".join(map(str, rng.integers(0, 10**6, 300))) for _ in range(2000)]
+    texts += [texts[0]] * 40
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3).localCheckpoint()
+    before = shuffled(spark)
+    found = neardup.common_shingles(docs, 5)
+    assert found.tolist() == neardup.shingle_set(texts[0].encode(), 5).tolist()
+    assert 0 < shuffled(spark) - before < 4 * 296 * len(texts)
+
+
+def test_shingles_that_share_buckets_are_counted_apart(spark, monkeypatch):
+    monkeypatch.setattr(neardup, "BUCKET_BITS", 3)
+    docs = spark.range(3000).selectExpr("id doc_id", "if(id % 3 = 0, 'x', concat('w', id)) text")
+    assert neardup.common_shingles(docs, 5, most=10).tolist() == neardup.shingle_set(b"x", 5).tolist()
+
+
+def test_sets_are_held_for_some_rows_at_a_time():
+    import pyarrow as pa
+
+    batch = pa.RecordBatch.from_pydict({"k": list(range(1000))})
+    parts = list(neardup._cut([batch, batch.slice(0, 0), batch.slice(10, 5)]))
+    assert max(p.num_rows for p in parts) <= neardup.ROWS
+    assert [k for p in parts for k in p.column("k").to_pylist()] == [*range(1000), *range(10, 15)]
