@@ -5,7 +5,8 @@ import numpy as np
 import pytest
 
 from spectral_frames import workloads
-from spectral_frames.operators import thin
+from spectral_frames.cost import CostMeter
+from spectral_frames.operators import thin, tree_qr
 
 SF = "/root/testdata/sf0.001"
 
@@ -35,3 +36,26 @@ def test_geo_thin_sigma_is_an_svd(spark, found):
 def test_geo_thin_sigma_without_orders(spark, tmp_path):
     spark.read.parquet(f"{SF}/orders.parquet").limit(0).write.parquet(str(tmp_path / "orders.parquet"))
     assert workloads.geo_thin_sigma(spark, str(tmp_path)).count() == 0
+
+
+def test_cost_scaling_counts_left_vectors(spark, found, monkeypatch):
+    """Each counted run sweeps the tree for Q (mixed QR) and writes U, within what is metered."""
+    log, enter, leave, stored, direct = [], CostMeter.__enter__, CostMeter.__exit__, thin.stored, tree_qr.q_direct
+    monkeypatch.setattr(CostMeter, "__enter__", lambda m: (log.append("begin"), enter(m))[1])
+    monkeypatch.setattr(CostMeter, "__exit__", lambda m, *x: (log.append("end"), leave(m, *x))[1])
+    monkeypatch.setattr(tree_qr, "q_direct", lambda *x, **y: (log.append("tree"), direct(*x, **y))[1])
+    monkeypatch.setattr(thin, "stored", lambda a: (log.append("U" if found and a is found[-1].U else "matrix"), stored(a))[1])
+    assert workloads.cost_scaling(spark, SF).count() == 2
+    runs = " ".join(log).split("begin ")[1:]
+    assert [r.split("end")[0].split() for r in runs] == [["U"], ["tree", "U"]] * 3
+
+
+def test_functions_of_two_cogroups_are_timed(spark):
+    from spectral_frames.cost import timed, worker_cpu
+
+    def busy(left, right):
+        return left[["id"]].assign(x=float(np.linalg.svd(np.ones((400, 400)))[1][0]) * len(right))
+
+    a, before = spark.range(4), worker_cpu(spark).value
+    assert a.groupBy("id").cogroup(a.groupBy("id")).applyInPandas(timed(spark, busy), "id long, x double").count() == 4
+    assert worker_cpu(spark).value > before
