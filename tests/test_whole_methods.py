@@ -7,6 +7,7 @@ import pytest
 from spectral_frames import workloads
 from spectral_frames.cost import CostMeter
 from spectral_frames.operators import thin, tree_qr
+from spectral_frames.sources import synth
 
 SF = "/root/testdata/sf0.001"
 
@@ -59,3 +60,26 @@ def test_functions_of_two_cogroups_are_timed(spark):
     a, before = spark.range(4), worker_cpu(spark).value
     assert a.groupBy("id").cogroup(a.groupBy("id")).applyInPandas(timed(spark, busy), "id long, x double").count() == 4
     assert worker_cpu(spark).value > before
+
+
+def test_direct_form_sweeps_the_tree_in_each_pass(spark, monkeypatch):
+    calls, direct = [], tree_qr.q_direct
+    monkeypatch.setattr(tree_qr, "q_direct", lambda *x, **y: (calls.append(x), direct(*x, **y))[1])
+    a = thin.stored(synth.geo_thin(spark, 700, 24, 3))
+    r = thin.thin_svd(a, "mixed_qr", 2, q_form="direct")
+    assert len(calls) == 2
+    u = r.U.collect()
+    assert r.rank == thin.thin_svd(a, "mixed_qr", 2).rank and np.abs(u.T @ u - np.eye(r.rank)).max() < 1e-13
+    assert np.allclose(r.reconstruct().collect(), a.collect(), atol=1e-10)
+
+
+def test_ablation_table_has_the_trackers(spark):
+    rows = workloads.ablation_table(spark, SF).collect()
+    assert len(rows) == 23 and [r["tracker"] for r in rows[20:]] == ["svd", "q_only", "lu"] and not any(r["tracker"] for r in rows[:20])
+    assert all(r["u_defect"] < 1e-12 and 0 < r["rank"] < 40 for r in rows[20:])
+
+
+def test_ablation_table_without_orders(spark, tmp_path):
+    """No sketch fits a matrix without rows, so there are no trackers."""
+    spark.read.parquet(f"{SF}/orders.parquet").limit(0).write.parquet(str(tmp_path / "orders.parquet"))
+    assert [(r["rank"], r["u_defect"]) for r in workloads.ablation_table(spark, str(tmp_path)).collect()] == [(0, 0.0)] * 20
