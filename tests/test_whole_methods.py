@@ -6,8 +6,8 @@ import pytest
 
 from spectral_frames import workloads
 from spectral_frames.cost import CostMeter
-from spectral_frames.operators import thin, tree_qr
-from spectral_frames.sources import synth
+from spectral_frames.operators import reduce, thin, tree_qr
+from spectral_frames.sources import synth, tables
 
 SF = "/root/testdata/sf0.001"
 
@@ -34,6 +34,21 @@ def test_geo_thin_sigma_is_an_svd(spark, found):
     assert sorted(m for _, m in rows)[::-1] == [round(x * 1e6) for x in np.log10(found[0].sigma)]
 
 
+def test_units_of_spend_are_one_matrix(spark):
+    """Columns of disjoint rows whose lengths are the spectrum, in as many tasks as are asked for."""
+    a = tables.spend(spark, SF, 60, 7, synth.geometric(7), 1, right="unit")
+    x = a.collect()
+    assert a.df.rdd.getNumPartitions() == 1 and x.shape == (60, 7) and ((x != 0).sum(axis=1) == 1).all()
+    assert np.allclose(np.linalg.norm(x, axis=0), synth.geometric(7), rtol=1e-12, atol=0)
+
+
+def test_sums_of_partials():
+    xs = [np.full((2, 3), float(k)) for k in range(3)]
+    for x in xs:
+        x.flags.writeable = False
+    assert np.array_equal(reduce.added(xs), np.sum(xs, axis=0)) and reduce.added(xs[:1]).flags.writeable
+
+
 def test_geo_thin_sigma_without_orders(spark, tmp_path):
     spark.read.parquet(f"{SF}/orders.parquet").limit(0).write.parquet(str(tmp_path / "orders.parquet"))
     assert workloads.geo_thin_sigma(spark, str(tmp_path)).count() == 0
